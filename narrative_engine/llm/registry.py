@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from narrative_engine.llm import quality_rules
+from narrative_engine.llm import decontamination, quality_rules
 
 QUERIES = {
+    "op5_decontamination": decontamination.op5_decontamination,
     "op8_quality_rules": quality_rules.op8_quality_rules,
 }
 ORACLES = {
+    "op5_decontamination": decontamination.ORACLE,
     "op8_quality_rules": quality_rules.ORACLE,
 }
