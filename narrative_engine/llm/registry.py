@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from narrative_engine.llm import decontamination, quality_rules
+from narrative_engine.llm import decontamination, packing, quality_rules, token_store
 
 QUERIES = {
     "op5_decontamination": decontamination.op5_decontamination,
     "op8_quality_rules": quality_rules.op8_quality_rules,
+    "op3_token_store": token_store.op3_token_store,
+    "op9_best_fit_packing": packing.op9_best_fit_packing,
 }
 ORACLES = {
     "op5_decontamination": decontamination.ORACLE,
