@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from narrative_engine.llm import decontamination, packing, quality_rules, token_store
+from narrative_engine.llm import decontamination, jaccard_join, line_dedup, packing, quality_rules, token_store
 
 QUERIES = {
+    "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op6_jaccard_join": jaccard_join.op6_jaccard_join,
     "op5_decontamination": decontamination.op5_decontamination,
     "op8_quality_rules": quality_rules.op8_quality_rules,
     "op3_token_store": token_store.op3_token_store,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
 }
 ORACLES = {
+    "op6_jaccard_join": jaccard_join.ORACLE,
     "op5_decontamination": decontamination.ORACLE,
     "op8_quality_rules": quality_rules.ORACLE,
 }
