@@ -47,7 +47,7 @@ def shared_dir(spark: SparkSession) -> str:
     return found or f"file://{tempfile.gettempdir()}/narrative_engine_shared"
 
 
-def staged(df: DataFrame, *by: str) -> DataFrame:
+def staged(df: DataFrame) -> DataFrame:
     """``df`` written to the shared folder and read back: lineage ends, lost executors cost nothing."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/staged-{uuid.uuid4().hex}"

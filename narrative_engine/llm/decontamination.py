@@ -23,6 +23,7 @@ from narrative_engine.llm.common import let, lower_ascii, staged, table
 
 ITEM_WINDOW = 13
 BROADCAST_WINDOWS = 200_000
+BROADCAST_HITS = 200_000
 #: All characters that are no word characters (a fixed value of the contract).
 BETWEEN = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
@@ -106,6 +107,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *keep: str) -> DataFram
         .agg(F.collect_set(F.struct("start", "n")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("found"))
         .select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), covered(F.col("spans")).alias("n_hit"), "found")
     )
+    per_doc = staged(per_doc)
+    per_doc = F.broadcast(per_doc) if per_doc.count() <= BROADCAST_HITS else per_doc
     rows = docs.select("doc_id", *keep, F.xxhash64("text").alias("text_key"), raw_words(F.col("text")).alias("raw"))
     rows = rows.select("doc_id", *keep, "text_key", count_words(F.col("raw")).alias("n_words"))
     joined = rows.join(per_doc, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")), "left")

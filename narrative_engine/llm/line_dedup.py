@@ -152,28 +152,27 @@ def removals(docs: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
 
 
 def deduped(docs: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """``docs`` with the common blocks gone, and ``_n_lines``, ``_gone``, ``_partners``, ``_gone_words`` behind its columns."""
+    """``docs`` with the common blocks gone, and a struct ``_dedup``: lines, removed lines and words, partners."""
     found = staged(removals(docs, block_words))
     rows, lines = found.agg(F.count("*"), F.coalesce(F.sum(F.size("gone")), F.lit(0))).first()
-    cut = found.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), F.col("gone").alias("_gone"), F.col("partners").alias("_partners"), F.col("n_gone_words").alias("_gone_words"))
+    cut = found.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "gone", "partners", "n_gone_words")
     cut = F.broadcast(cut) if rows <= BROADCAST_ROWS and lines <= BROADCAST_LINES else cut
-    kept = lambda ls: F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(ls) - 1), F.col("_gone")), lambda i: F.get(ls, i)), "\n")
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(let(F.split("text", "\n"), kept))
-    names = [c for c in docs.columns if not c.startswith("_")]
-    joined = docs.join(cut, (F.col("doc_id").cast("long") == F.col("_id")) & (F.xxhash64("text") == F.col("_key")), "left")
-    return joined.select(
-        *[text.alias(c) if c == "text" else F.col(c) for c in names],
-        F.size(F.split(F.coalesce("text", F.lit("")), "\n")).alias("_n_lines"), F.coalesce(F.size("_gone"), F.lit(0)).alias("_gone"),
-        F.coalesce("_partners", F.array().cast("array<bigint>")).alias("_partners"), F.coalesce("_gone_words", F.lit(0)).alias("_gone_words"),
-    )
+    held = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"))
+    text = F.col("_doc.text")
+    joined = held.join(cut, (F.col("_doc.doc_id").cast("long") == F.col("_id")) & (F.xxhash64(text) == F.col("_key")), "left")
+    kept = lambda ls: F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(ls) - 1), F.col("gone")), lambda i: F.get(ls, i)), "\n")
+    new = F.when(F.col("gone").isNull(), text).otherwise(let(F.split(text, "\n"), kept))
+    told = F.struct(
+        F.size(F.split(F.coalesce(text, F.lit("")), "\n")).cast("long").alias("n_lines"),
+        F.when(F.col("gone").isNull(), 0).otherwise(F.size("gone")).cast("long").alias("n_removed"),
+        F.coalesce("n_gone_words", F.lit(0)).alias("n_removed_words"),
+        F.coalesce("partners", F.array().cast("array<bigint>")).alias("partners"),
+    )
+    return joined.select(*[new.alias(c) if c == "text" else F.col("_doc")[c].alias(c) for c in docs.columns], told.alias("_dedup"))
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = deduped(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return rows.select(
-        "doc_id", "text", F.col("_n_lines").cast("long").alias("n_lines"), F.col("_gone").cast("long").alias("n_removed"),
-        F.col("_gone_words").cast("long").alias("n_removed_words"), F.col("_partners").alias("partners"),
-    )
+    return deduped(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "text", "_dedup.*")
 
 
 ORACLE = None
