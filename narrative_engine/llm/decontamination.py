@@ -29,8 +29,12 @@ BETWEEN = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def raw_words(text: Column) -> Column:
-    """Words in their own case; an empty string may stand first and last, which no window holds."""
-    return F.split(F.coalesce(text, F.lit("")), BETWEEN)
+    """Lowered words; an empty string may stand first and last, which no window holds.
+
+    No lambda, and an outer generator (an inner one infers a filter that splits the text again): an operator that has one leaves whole-stage code, and the rows between it and the
+    generator would each be given a copy of the array.
+    """
+    return F.split(lower_ascii(F.coalesce(text, F.lit(""))), BETWEEN)
 
 
 def count_words(raw: Column) -> Column:
@@ -40,7 +44,7 @@ def count_words(raw: Column) -> Column:
 
 def windows(benchmark: DataFrame) -> DataFrame:
     """Each different window once: its words and the items that hold it."""
-    words = F.filter(F.transform(raw_words(F.col("text")), lower_ascii), lambda w: w != "")
+    words = F.filter(raw_words(F.col("text")), lambda w: w != "")
     cut = lambda w: F.transform(
         F.sequence(F.lit(0), F.greatest(F.size(w) - ITEM_WINDOW, F.lit(0))), lambda i: F.slice(w, i + 1, ITEM_WINDOW)
     )
@@ -55,7 +59,7 @@ def windows(benchmark: DataFrame) -> DataFrame:
 def occurrences(docs: DataFrame) -> DataFrame:
     """One row per word; ``at`` is its place in ``raw``."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), raw_words(F.col("text")).alias("raw"))
-    return rows.select("*", F.posexplode("raw").alias("at", "word")).withColumn("word_key", F.xxhash64(lower_ascii(F.col("word"))))
+    return rows.select("*", F.posexplode_outer("raw").alias("at", "word")).withColumn("word_key", F.xxhash64("word"))
 
 
 def prefixed(found: DataFrame, docs: DataFrame, small: bool) -> DataFrame:
@@ -81,7 +85,7 @@ def hits(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     keyed = F.broadcast(keyed) if small else keyed
     start, n = F.col("at") - F.col("offset"), F.size("window")
     fits = (start >= 0) & (start + n <= F.size("raw"))
-    there = F.transform(F.slice("raw", F.when(fits, start + 1).otherwise(1), n), lower_ascii)
+    there = F.slice("raw", F.when(fits, start + 1).otherwise(1), n)
     return (
         occurrences(docs).join(keyed, "word_key").where(fits & (there == F.col("window")))
         .select("doc_id", "text_key", start.alias("start"), n.alias("n"), "items")
