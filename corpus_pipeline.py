@@ -14,7 +14,7 @@ from narrative_engine.llm.decontamination import contamination
 from narrative_engine.llm.jaccard_join import by_ids, joined
 from narrative_engine.llm.line_dedup import deduped
 from narrative_engine.llm.packing import packed
-from narrative_engine.llm.quality_rules import ledger, verdict
+from narrative_engine.llm.quality_rules import ledger, passing
 
 
 def _held(docs: DataFrame) -> DataFrame:
@@ -24,7 +24,7 @@ def _held(docs: DataFrame) -> DataFrame:
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the production policy keeps."""
-    return ledger(_held(docs), "_doc").where(verdict()).select("_doc.*")
+    return passing(ledger(_held(docs), "_doc")).select("_doc.*")
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
