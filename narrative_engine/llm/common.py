@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from narrative_engine.staging import shared_dir, staged
+
+__all__ = ["BLANKS", "BLANK_RUN", "LOWER", "UPPER", "let", "lower_ascii", "shared_dir", "split_words", "staged", "table"]
+
 #: The white space of the word contracts, and A-Z with a-z.
 BLANKS = " \t\n\x0b\x0c\r"
 BLANK_RUN = "[ \\t-\\r]+"
@@ -39,17 +41,3 @@ def lower_ascii(word: Column) -> Column:
     """A-Z lowered and nothing else; the slow per-character path only for words that need it."""
     plain = F.octet_length(word) == F.length(word)
     return F.when(plain, F.lower(word)).otherwise(F.translate(word, UPPER, LOWER))
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where none is named."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    return found or f"file://{tempfile.gettempdir()}/narrative_engine_shared"
-
-
-def staged(df: DataFrame) -> DataFrame:
-    """``df`` written to the shared folder and read back: lineage ends, lost executors cost nothing."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/staged-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
