@@ -13,8 +13,12 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/narrative_engine_shared"
 
 
-def staged(df: DataFrame) -> DataFrame:
-    """``df`` written and read back: what follows reads it instead of computing it, and lost executors cost nothing."""
+def staged(df: DataFrame, parts: int | None = None) -> DataFrame:
+    """``df`` written and read back: what follows reads it instead of computing it, and lost executors cost nothing.
+
+    ``parts`` merges the last stage's partitions for tables known to be small.
+    """
+    df = df if parts is None else df.coalesce(parts)
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/staged-{uuid.uuid4().hex}"
     df.write.parquet(path)
