@@ -142,33 +142,53 @@ def within(num: int, den: int):
     return den * F.col("common") >= num * F.col("total")
 
 
-def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = ROUNDS) -> DataFrame:
-    """Links (a, b) that connect what all pairs within the radius in the regions (key, x) connect."""
-    found: DataFrame | None = None
-    part = live.select("key", "x", F.lit(1).alias("rank"))
+#: Rows of a partition of the small tables of the rounds.
+PART_ROWS = 200_000
+
+
+def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
+    """Links (a, b), and the components (node, root) of all pairs within the radius in the regions (key, x)."""
+    spark = live.sparkSession
+    size = lambda n: max(spark.sparkContext.defaultParallelism, n // PART_ROWS + 1)
+    found = root = None
+    part, n = live.select("key", "x", F.lit(1).alias("rank")), live.count()
     for _ in range(rounds):
-        centre = staged(part.groupBy("key").agg(F.min(F.struct("rank", "x")).getField("x").alias("p")))
-        seen = staged(part.join(centre, "key").where("x <> p").select("key", "x", "p"))
-        if seen.isEmpty():
-            return found if found is not None else live.select(F.col("x").alias("a"), F.col("x").alias("b")).limit(0)
-        dist = staged(measured(seen.select("p", "x").distinct(), items))
+        centre = part.groupBy("key").agg(F.min(F.struct("rank", "x")).getField("x").alias("p"))
+        seen = staged(part.join(centre, "key").where("x <> p").select("key", "x", "p"), size(n))
+        if not (n := seen.count()):
+            break
+        dist = staged(measured(staged(seen.select("p", "x").distinct(), size(n)), items), size(n))
         new = dist.where(within(num, den)).select(F.col("p").alias("a"), F.col("x").alias("b"))
-        found = staged(new if found is None else found.unionByName(new))
-        root = components(found)
+        if found is None:
+            found = staged(new)
+            root = components(found)
+        elif not new.isEmpty():
+            found = staged(found.unionByName(new))
+            # the stars so far stand for the links before
+            root = components(root.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(new))
         # twice the radius: 1 - common/total <= 2 (1 - num/den)
         near = (F.col("common") * den) >= (F.col("total") * (2 * num - den))
-        told = seen.join(dist, ["p", "x"]).select("key", "x", within(num, den).alias("linked"), near.alias("near"))
+        told = staged(seen.join(dist, ["p", "x"]).select("key", "x", within(num, den).alias("linked"), near.alias("near")), size(n))
         rim = told.where("near AND NOT linked").select("key").distinct()
         outer = told.where("NOT linked").select(F.xxhash64("key", F.lit(0)).alias("key"), "x", F.lit(1).alias("rank"))
         inner = told.where("near").join(rim, "key", "left_semi").select(F.xxhash64("key", F.lit(1)).alias("key"), "x", F.col("linked").cast("int").alias("rank"))
         rest = outer.unionByName(inner).join(root, F.col("x") == F.col("node"), "left").select("key", "x", "rank", F.coalesce("root", "x").alias("c"))
-        rest = staged(rest)
+        rest = staged(rest, size(n))
         open_ = rest.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
-        part = staged(rest.join(open_, "key", "left_semi"))
-    one, two = part.select("key", F.col("x").alias("p"), F.col("c").alias("cp")), part.select("key", "x", "c")
-    last = one.join(two, "key").where("cp < c").select("p", "x").distinct()
-    new = measured(last, items).where(within(num, den)).select(F.col("p").alias("a"), F.col("x").alias("b"))
-    return staged(found.unionByName(new))
+        part = staged(rest.join(open_, "key", "left_semi"), size(n))
+        if not (n := part.count()):
+            break
+    if found is None:
+        none = live.select(F.col("x").alias("a"), F.col("x").alias("b")).limit(0)
+        return none, none.select(F.col("a").alias("node"), F.col("b").alias("root"))
+    if n and "c" in part.columns:  # different components that the rounds have left in one region
+        one, two = part.select("key", F.col("x").alias("p"), F.col("c").alias("cp")), part.select("key", "x", "c")
+        last = staged(one.join(two, "key").where("cp < c").select("p", "x").distinct(), size(n))
+        new = staged(measured(last, items).where(within(num, den)).select(F.col("p").alias("a"), F.col("x").alias("b")), size(n))
+        if not new.isEmpty():
+            found = staged(found.unionByName(new))
+            root = components(root.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(new))
+    return found, root
 
 
 def joined(docs: DataFrame, size: int = SIZE, num: int = NUM, den: int = DEN) -> DataFrame:
@@ -186,11 +206,10 @@ def joined(docs: DataFrame, size: int = SIZE, num: int = NUM, den: int = DEN) ->
 
     cells = marked.where("doc_id IS NOT NULL").select(F.explode("keys").alias("key"), F.col("doc_id").alias("x"))
     full = staged(cells.groupBy("key").agg(F.min("x").alias("lo"), F.max("x").alias("hi")).where("lo <> hi").select("key"))
-    live = staged(cells.join(full, "key", "left_semi").distinct())
+    live = staged(cells.join(full, "key", "left_semi").distinct())  # the rows of a key are split where it is hot
     asked = staged(live.select(F.col("x").alias("id")).distinct())
     items = staged(set_bytes(by_ids(texts, asked, "left_semi"), size).groupBy("id").agg(F.first("items").alias("items")))
-    found = links(live, items, num, den)
-    root = staged(components(found))
+    found, root = links(live, items, num, den)
     ends = found.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
 
     by_rep = marked.select(F.col("doc_id").alias("rep"), "n").groupBy("rep").agg(F.first("n").alias("n_shingles"))
