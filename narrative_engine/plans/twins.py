@@ -83,8 +83,8 @@ r AS (SELECT row_id, CASE WHEN bool_or(wrong OR way < 0) THEN 0 ELSE 1 END AS a,
 s AS (
   SELECT row_id, text, a, c, len(regexp_extract_all(text, '[^ \\t\\n\\r]+'))::INT AS n_words, k FROM n JOIN r USING (row_id)),
 t AS (
-  SELECT *, CASE WHEN n_words >= 2 * k * 25.0::DOUBLE THEN 0.0::DOUBLE WHEN n_words <= k * 25.0::DOUBLE THEN 4.0::DOUBLE ELSE 4.0::DOUBLE * (2.0::DOUBLE - n_words / (k * 25.0::DOUBLE)) END AS s FROM s)
-SELECT row_id, text, a::INT AS a, c::INT AS c, n_words, floor(s * 1000 + 0.5) / 1000 AS s, floor((4.0 * a + 2.0 * c + s) * 1000 + 0.5) / 1000 AS total, 4.0 * a + 2.0 * c + s < 10 AS rejected FROM t"""
+  SELECT *, CASE WHEN n_words >= 2 * k * 30.0::DOUBLE THEN 0.0::DOUBLE WHEN n_words <= k * 30.0::DOUBLE THEN 4.0::DOUBLE ELSE 4.0::DOUBLE * (2.0::DOUBLE - n_words / (k * 30.0::DOUBLE)) END AS s FROM s)
+SELECT row_id, text, a::INT AS a, c::INT AS c, n_words, floor(s * 1000 + 0.5) / 1000 AS s, floor((4.0 * a + 2.0 * c + s) * 1000 + 0.5) / 1000 AS total, 4.0 * a + 2.0 * c + s < 10.5 AS rejected FROM t"""
 
 
 def agreement_sql(rows: tuple) -> str:
