@@ -32,7 +32,7 @@ from narrative_engine.shipping import ship
 CAPACITY = 4096
 END = 1
 #: Rows of a salted group, about; and branches tried for one filling beyond the incumbent.
-GROUP_ROWS = 20_000
+GROUP_ROWS = 2_000
 BRANCHES = 64
 
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
