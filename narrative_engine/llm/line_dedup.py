@@ -106,11 +106,9 @@ def common_blocks(points: set[tuple[int, int]], words: list[int], least: int) ->
             if sum(words[x] for x in places) >= least:
                 found += places
             k = e
-        if not found:
-            break
         gone += found
         drop = set(found)
-        points = {p for p in points if p[0] not in drop}
+        points = {p for p in points if p[0] not in drop} - set(aligned)
     return gone
 
 
