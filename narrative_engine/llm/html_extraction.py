@@ -193,14 +193,26 @@ def aligned(one: list[tuple], two: list[tuple]) -> list[tuple]:
     return out
 
 
-def wrapper(pages: list[str]) -> list[tuple]:
-    """The expression of a host's pages, aligned one after the other."""
-    whole: list[tuple] | None = None
-    for page in pages:
-        s = stream(blocks(page))
-        if len(s) <= MOST_NODES:
-            whole = s if whole is None else aligned(whole, s)
-    return whole or []
+def alike(one: list[tuple], two: list[tuple]) -> bool:
+    """Whether two streams can come from one template: half of their tags agree."""
+    tags = lambda s: [n for n in s if n[0] in ("tag", "rep")]
+    return difflib.SequenceMatcher(None, tags(one), tags(two), autojunk=False).ratio() >= 0.5
+
+
+def wrapper(pages: list[str], least: int = 1) -> list[tuple]:
+    """The expression of a host's pages, aligned one after the other from the one of middle length.
+
+    Pages of another template are left out; nothing is inferred from fewer than ``least`` pages.
+    """
+    streams = sorted((s for s in (stream(blocks(p)) for p in pages) if 0 < len(s) <= MOST_NODES), key=len)
+    if not streams:
+        return []
+    first = streams.pop(len(streams) // 2)
+    whole, n = first, 1
+    for s in streams:
+        if alike(first, s):
+            whole, n = aligned(whole, s), n + 1
+    return whole if n >= least else []
 
 
 def fixed_texts(nodes: list[tuple]) -> set[tuple[str, str]]:
@@ -235,7 +247,7 @@ def wrappers(pages: DataFrame) -> DataFrame:
             for name, pages in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 texts = list(dict.fromkeys(p["html"] for p in pages))[:PAGES]
                 different = {"\n".join(x.text for x in blocks(t) if x.inside or not x.other) for t in texts}
-                if len(different) >= LEAST_PAGES and (fixed := fixed_texts(wrapper(texts))):
+                if len(different) >= LEAST_PAGES and (fixed := fixed_texts(wrapper(texts, LEAST_PAGES))):
                     out.append((name, [{"path": p, "text": t} for p, t in sorted(fixed)]))
             if out:
                 kind = pa.list_(pa.struct([("path", pa.string()), ("text", pa.string())]))

@@ -46,7 +46,7 @@ def anchors(lines: Column, block_words: int) -> Column:
             F.slice(ls, 2, F.greatest(F.size(ls) - 1, F.lit(0))),
             lambda x, i: F.struct(F.xxhash64(F.get(ls, i)["h"], x["h"]).alias("h"), i.alias("i"), F.lit(1).alias("wide"), (x["n"] + F.get(ls, i)["n"]).alias("n")),
         )
-        return F.filter(F.concat(one, two), lambda x: x["n"] >= block_words)
+        return F.filter(F.concat(one, two), lambda x: (x["wide"] == 1) | (x["n"] >= block_words))
 
     return let(lines, build)
 
