@@ -12,6 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from narrative_engine.shipping import ship
 from narrative_engine.sources.tables import table
 from narrative_engine.staging import shared_dir
 
@@ -94,17 +95,46 @@ def stream_guardrail(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.groupBy("a", "c", "rejected").agg(F.count("*").alias("n"))
 
 
+def near_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stream-stream join: events of a user within five minutes of one of the user's errors, per user."""
+    a = source(spark, sf_dir).where("event_type = 'error'").select(F.col("event_id").alias("error_id"), F.col("user_id").alias("u"), F.col("ts").alias("at"))
+    b = source(spark, sf_dir).select("event_id", "user_id", "ts")
+    near = F.expr("user_id = u AND ts >= at - INTERVAL 5 MINUTES AND ts <= at + INTERVAL 5 MINUTES AND event_id <> error_id")
+    return drained(a.join(b, near).select("user_id", "event_id", "error_id"), "append").groupBy("user_id").agg(F.count("*").alias("n"))
+
+
+def _running(key, batches, state):
+    """Count and sum so far of one event type, kept between micro-batches."""
+    import pandas as pd
+
+    n, total = state.get if state.exists else (0, 0)
+    for pdf in batches:
+        n, total = n + len(pdf), total + int((pdf["value"] * 100 + 0.5).floordiv(1).sum())
+    state.update((n, total))
+    yield pd.DataFrame({"event_type": [key[0]], "n": [n], "cents": [total]})
+
+
+def running_totals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Custom state: a running count and sum per event type; the last state is the batch result."""
+    ship(spark)
+    rows = source(spark, sf_dir).select("event_type", "value").groupBy("event_type")
+    out = rows.applyInPandasWithState(_running, "event_type string, n long, cents long", "n long, cents long", "update", "NoTimeout")
+    return drained(out, "update").groupBy("event_type").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+
+
 def idempotent_sink(path: str) -> Callable[[DataFrame, int], None]:
     """A foreachBatch writer: a batch that is run again replaces its own folder."""
     return lambda batch, batch_id: batch.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
 
 
 QUERIES = {
-    "stream_tumbling": tumbling, "stream_sliding": sliding, "stream_session": sessions, "stream_dedup": deduplicated, "stream_guardrail": stream_guardrail,
+    "stream_tumbling": tumbling, "stream_sliding": sliding, "stream_session": sessions, "stream_dedup": deduplicated, "stream_guardrail": stream_guardrail, "stream_join": near_errors, "stream_stateful": running_totals,
 }
 ORACLES = {
     "stream_tumbling": "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M') AS hour, event_type, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
     "stream_sliding": "SELECT strftime(h, '%Y-%m-%d %H:%M') AS start, count(*) AS n FROM (SELECT unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS h FROM events) GROUP BY 1",
     "stream_session": "WITH g AS (SELECT user_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events) SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS events FROM g GROUP BY user_id",
+    "stream_join": "SELECT b.user_id, count(*) AS n FROM events a JOIN events b ON b.user_id = a.user_id AND b.ts >= a.ts - INTERVAL 5 MINUTE AND b.ts <= a.ts + INTERVAL 5 MINUTE AND b.event_id <> a.event_id WHERE a.event_type = 'error' GROUP BY b.user_id",
+    "stream_stateful": "SELECT event_type, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY event_type",
     "stream_dedup": "SELECT count(*) AS n, count(DISTINCT event_id) AS different FROM events",
 }
