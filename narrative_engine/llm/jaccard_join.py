@@ -37,7 +37,7 @@ from narrative_engine.llm.shingles import mix, sets
 from narrative_engine.shipping import ship
 
 SIZE, NUM, DEN = 4, 85, 100  # shingle words; a link: DEN * common >= NUM * union
-ROUNDS = 4
+ROUNDS = 8
 #: A list of ids is broadcast up to this many, and joined by shuffle beyond.
 BROADCAST_IDS = 1_000_000
 
@@ -151,9 +151,12 @@ def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = R
     spark = live.sparkSession
     size = lambda n: max(spark.sparkContext.defaultParallelism, n // PART_ROWS + 1)
     found = root = None
-    part, n = live.select("key", "x", F.lit(1).alias("rank")), live.count()
-    for _ in range(rounds):
-        centre = part.groupBy("key").agg(F.min(F.struct("rank", "x")).getField("x").alias("p"))
+    part, n = live.select("key", "x"), live.count()
+    for k in range(rounds):
+        # first the smallest id, which regions share; then one by chance in each region, so that a
+        # document meets other pivots in each of its regions and large groups of near copies join soon
+        order = F.struct("x") if k == 0 else F.struct(F.xxhash64("key", "x"), "x")
+        centre = part.groupBy("key").agg(F.min(order).getField("x").alias("p"))
         seen = staged(part.join(centre, "key").where("x <> p").select("key", "x", "p"), size(n))
         if not (n := seen.count()):
             break
@@ -169,10 +172,12 @@ def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = R
         # twice the radius: 1 - common/total <= 2 (1 - num/den)
         near = (F.col("common") * den) >= (F.col("total") * (2 * num - den))
         told = staged(seen.join(dist, ["p", "x"]).select("key", "x", within(num, den).alias("linked"), near.alias("near")), size(n))
-        rim = told.where("near AND NOT linked").select("key").distinct()
-        outer = told.where("NOT linked").select(F.xxhash64("key", F.lit(0)).alias("key"), "x", F.lit(1).alias("rank"))
-        inner = told.where("near").join(rim, "key", "left_semi").select(F.xxhash64("key", F.lit(1)).alias("key"), "x", F.col("linked").cast("int").alias("rank"))
-        rest = outer.unionByName(inner).join(root, F.col("x") == F.col("node"), "left").select("key", "x", "rank", F.coalesce("root", "x").alias("c"))
+        kind = told.groupBy("key").agg(F.max(F.col("near") & ~F.col("linked")).alias("rim"), F.max(~F.col("near")).alias("far"))
+        told = told.join(kind, "key")
+        # without far members the inner part holds the outer one
+        outer = told.where("NOT linked AND far").select(F.xxhash64("key", F.lit(0)).alias("key"), "x")
+        inner = told.where("near AND rim").select(F.xxhash64("key", F.lit(1)).alias("key"), "x")
+        rest = outer.unionByName(inner).join(root, F.col("x") == F.col("node"), "left").select("key", "x", F.coalesce("root", "x").alias("c"))
         rest = staged(rest, size(n))
         open_ = rest.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("key")
         part = staged(rest.join(open_, "key", "left_semi"), size(n))
