@@ -12,8 +12,8 @@
    within the radius ``r`` are linked.  By the triangle inequality no member beyond ``2r`` links
    to one within ``r``, so the region splits in an outer part (beyond ``r``) and an inner one (up
    to ``2r``, kept only if its rim holds any), and both are joined the same way until all members
-   of a part are in one component.  What is left after ``ROUNDS`` is compared pair by pair between
-   different components.
+   of a part are in one component.  What is left after ``ROUNDS`` meets on rare shingles, and pairs
+   of different components are compared.
 4. Links become components.
 
 Defined results: null and blank texts have an empty set and link with nothing; a null doc_id gets
@@ -37,7 +37,7 @@ from narrative_engine.llm.shingles import mix, sets
 from narrative_engine.shipping import ship
 
 SIZE, NUM, DEN = 4, 85, 100  # shingle words; a link: DEN * common >= NUM * union
-ROUNDS = 8
+ROUNDS = 2
 #: A list of ids is broadcast up to this many, and joined by shuffle beyond.
 BROADCAST_IDS = 1_000_000
 
@@ -78,7 +78,7 @@ def region_keys(h: np.ndarray, num: int = NUM, den: int = DEN) -> np.ndarray:
         out.append(mix(sums[held] + tag[held]))
         if m - int(held.sum()) > spare:  # two such sets may agree on empty parts only: prefixes of the hash order
             prefix = n - -(-num * n // den) + 1
-            out.append(mix(h[:prefix] + np.uint64(shell + 1) * np.uint64(0xA24BAED4963EE407)))
+            out.append(mix(h[:prefix] + np.uint64((shell + 1) * 0xA24BAED4963EE407 & 0xFFFFFFFFFFFFFFFF)))
     return np.unique(np.concatenate(out)).view(np.int64)
 
 
@@ -142,6 +142,30 @@ def within(num: int, den: int):
     return den * F.col("common") >= num * F.col("total")
 
 
+def rare_cells(left: DataFrame, items: DataFrame, num: int, den: int) -> DataFrame:
+    """Cells (t, x, c) of the shingles that documents (x, c) may still meet on.
+
+    With its shingles ordered by how many of these documents have them, a document meets any other
+    within the radius on one of its first n - ceil(num/den n) + 1; those it has alone meet nobody.
+    A near copy with many edits of its own so meets hardly anyone, however large its group.
+    """
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = [np.frombuffer(v.as_buffer(), dtype=np.int64) for v in b.column(2)]
+            ends = np.concatenate(([0], np.cumsum([len(f) for f in found]))).astype(np.int32)
+            flat = np.concatenate(found) if found else np.empty(0, dtype=np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=["x", "c", "items"])
+
+    held = left.join(items, F.col("x") == F.col("id")).select("x", "c", "items").mapInArrow(split, "x long, c long, items array<long>")
+    rows = staged(held.select("x", "c", F.size("items").alias("n"), F.explode("items").alias("t")))
+    often = staged(rows.groupBy("t").agg(F.count("*").alias("df")).where("df > 1"))
+    shared = rows.join(often, "t").groupBy("x", "c", "n").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("s"))
+    prefix = F.col("n") - F.ceil(F.col("n") * num / den).cast("int") + 1
+    first = F.slice("s", 1, F.greatest(prefix - (F.col("n") - F.size("s")), F.lit(0)))
+    return shared.select("x", "c", F.explode(first).alias("f")).select(F.col("f.t").alias("t"), "x", "c")
+
+
 #: Rows of a partition of the small tables of the rounds.
 PART_ROWS = 200_000
 
@@ -187,8 +211,9 @@ def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = R
         none = live.select(F.col("x").alias("a"), F.col("x").alias("b")).limit(0)
         return none, none.select(F.col("a").alias("node"), F.col("b").alias("root"))
     if n and "c" in part.columns:  # different components that the rounds have left in one region
-        one, two = part.select("key", F.col("x").alias("p"), F.col("c").alias("cp")), part.select("key", "x", "c")
-        last = staged(one.join(two, "key").where("cp < c").select("p", "x").distinct(), size(n))
+        cells = staged(rare_cells(part.select("x", "c").distinct(), items, num, den), size(n))
+        one, two = cells.select("t", F.col("x").alias("p"), F.col("c").alias("cp")), cells.select("t", "x", "c")
+        last = staged(one.join(two, "t").where("cp < c").select("p", "x").distinct(), size(n))
         new = staged(measured(last, items).where(within(num, den)).select(F.col("p").alias("a"), F.col("x").alias("b")), size(n))
         if not new.isEmpty():
             found = staged(found.unionByName(new))
