@@ -37,7 +37,7 @@ from narrative_engine.llm.shingles import mix, sets
 from narrative_engine.shipping import ship
 
 SIZE, NUM, DEN = 4, 85, 100  # shingle words; a link: DEN * common >= NUM * union
-ROUNDS = 2
+ROUNDS = 1
 #: A list of ids is broadcast up to this many, and joined by shuffle beyond.
 BROADCAST_IDS = 1_000_000
 
