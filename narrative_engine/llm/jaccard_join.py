@@ -13,7 +13,7 @@
    to one within ``r``, so the region splits in an outer part (beyond ``r``) and an inner one (up
    to ``2r``, kept only if its rim holds any), and both are joined the same way until all members
    of a part are in one component.  What is left after ``ROUNDS`` meets on rare shingles, and pairs
-   of different components are compared.
+   of different components that their sizes and places allow are compared.
 4. Links become components.
 
 Defined results: null and blank texts have an empty set and link with nothing; a null doc_id gets
@@ -143,11 +143,11 @@ def within(num: int, den: int):
 
 
 def rare_cells(left: DataFrame, items: DataFrame, num: int, den: int) -> DataFrame:
-    """Cells (t, x, c) of the shingles that documents (x, c) may still meet on.
+    """Cells (t, x, c, n, rest) of the shingles that documents (x, c) may still meet on.
 
     With its shingles ordered by how many of these documents have them, a document meets any other
     within the radius on one of its first n - ceil(num/den n) + 1; those it has alone meet nobody.
-    A near copy with many edits of its own so meets hardly anyone, however large its group.
+    ``rest`` is the number of its shingles from that one on.
     """
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -158,12 +158,36 @@ def rare_cells(left: DataFrame, items: DataFrame, num: int, den: int) -> DataFra
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=["x", "c", "items"])
 
     held = left.join(items, F.col("x") == F.col("id")).select("x", "c", "items").mapInArrow(split, "x long, c long, items array<long>")
-    rows = staged(held.select("x", "c", F.size("items").alias("n"), F.explode("items").alias("t")))
+    rows = staged(held.select("x", "c", F.size("items").cast("long").alias("n"), F.explode("items").alias("t")))
     often = staged(rows.groupBy("t").agg(F.count("*").alias("df")).where("df > 1"))
     shared = rows.join(often, "t").groupBy("x", "c", "n").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("s"))
-    prefix = F.col("n") - F.ceil(F.col("n") * num / den).cast("int") + 1
-    first = F.slice("s", 1, F.greatest(prefix - (F.col("n") - F.size("s")), F.lit(0)))
-    return shared.select("x", "c", F.explode(first).alias("f")).select(F.col("f.t").alias("t"), "x", "c")
+    prefix = F.col("n") - F.ceil(F.col("n") * num / den) + 1
+    first = F.slice("s", 1, F.greatest(prefix - (F.col("n") - F.size("s")), F.lit(0)).cast("int"))
+    placed = shared.select("x", "c", "n", F.size("s").alias("m"), F.posexplode(first).alias("at", "f"))
+    return placed.select(F.col("f.t").alias("t"), "x", "c", "n", (F.col("m") - F.col("at")).cast("long").alias("rest"))
+
+
+#: Sizes of a band differ by about this part.
+BAND = 0.02
+
+
+def rare_pairs(cells: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs (p, x) of different components that may be within the radius by their sizes and places.
+
+    Two sets within it have ``num/(num + den)`` of the sum of their sizes in common.  At their first
+    common shingle no more than ``rest`` of either can be, which bounds the partner's size.  So the
+    larger set asks only in the bands of sizes left to it, and the smaller one stands in its own
+    band only while it could meet a set of its size: near copies with edits of their own drop out
+    as rows, before the join, however large their group.
+    """
+    band = lambda size, pad: F.floor((F.log(size.cast("double")) + pad) / BAND)
+    least = F.floor((F.col("n") * num + den - 1) / den)
+    most = F.least("n", F.floor(F.col("rest") * (num + den) / num) - F.col("n"))
+    asking = cells.withColumn("lo", least).withColumn("hi", most).where("hi >= lo")
+    asking = asking.select("t", F.col("x").alias("p"), F.col("c").alias("cp"), F.col("n").alias("np"), F.col("rest").alias("rp"), F.explode(F.sequence(band(F.col("lo"), -1e-9), band(F.col("hi"), 1e-9))).alias("band"))
+    standing = cells.where(F.col("rest") * (num + den) >= F.col("n") * 2 * num).select("t", "x", "c", "n", "rest", band(F.col("n"), 0.0).alias("band"))
+    fits = (F.least("rp", "rest") * (num + den) >= (F.col("np") + F.col("n")) * num) & ((F.col("n") < F.col("np")) | ((F.col("n") == F.col("np")) & (F.col("x") < F.col("p"))))
+    return asking.join(standing, ["t", "band"]).where((F.col("cp") != F.col("c")) & fits).select("p", "x").distinct()
 
 
 #: Rows of a partition of the small tables of the rounds.
@@ -212,8 +236,7 @@ def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = R
         return none, none.select(F.col("a").alias("node"), F.col("b").alias("root"))
     if n and "c" in part.columns:  # different components that the rounds have left in one region
         cells = staged(rare_cells(part.select("x", "c").distinct(), items, num, den), size(n))
-        one, two = cells.select("t", F.col("x").alias("p"), F.col("c").alias("cp")), cells.select("t", "x", "c")
-        last = staged(one.join(two, "t").where("cp < c").select("p", "x").distinct(), size(n))
+        last = staged(rare_pairs(cells, num, den), size(n))
         new = staged(measured(last, items).where(within(num, den)).select(F.col("p").alias("a"), F.col("x").alias("b")), size(n))
         if not new.isEmpty():
             found = staged(found.unionByName(new))
