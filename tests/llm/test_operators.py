@@ -138,6 +138,21 @@ def test_jaccard_rounds_and_fallback_agree(make_docs, monkeypatch):
         assert sorted(rows_of(jaccard_join.joined(make_docs(rows)), "doc_id", "n_shingles", "component_id")) == want
 
 
+def test_rare_pairs_lose_no_link(spark):
+    rng, sets = random.Random(21), {}
+    for _ in range(20):  # groups of near copies of different sizes, some with many edits of their own
+        base = rng.sample(range(10_000), rng.choice((1, 2, 6, 7, 13, 50, 147)))
+        for _ in range(12):
+            kept = [v for v in base if rng.random() < rng.choice((0.9, 0.97, 1.0))] or base[:1]
+            sets[len(sets)] = set(kept) | set(rng.sample(range(10_000), rng.randrange(1 + len(base) // 7)))
+    items = spark.createDataFrame([(i, np.array(sorted(s), dtype=np.uint64).tobytes()) for i, s in sets.items()], "id long, items binary")
+    left = spark.createDataFrame([(i, i) for i in sets], "x long, c long")
+    cells = jaccard_join.rare_cells(left, items, 85, 100)
+    got = {tuple(sorted(r)) for r in rows_of(jaccard_join.rare_pairs(cells, 85, 100), "p", "x")}
+    want = {(a, b) for a, b in itertools.combinations(sets, 2) if 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b])}
+    assert len(want) > 100 and want <= got and len(got) < len(sets) ** 2 // 8
+
+
 def test_star_and_union_components_agree(spark):
     rng = random.Random(3)
     edges = spark.createDataFrame([(rng.randrange(300), rng.randrange(300)) for _ in range(220)], "a long, b long").where("a <> b")
