@@ -1,12 +1,15 @@
 """Line dedup by pairwise alignment with the earliest document that holds a shared anchor.
 
-An anchor is a line of ``BLOCK_WORDS`` words or more, or two neighbouring lines; blank lines don't
-count.  Short lines alone, however frequent, make no pair.  Each anchor points to its first
-document (the smallest doc_id) and its place there, found by a pre-aggregated minimum, so a passage
-in a third of all documents gives each of them one partner and never a group of pairs.  A document
-is then aligned with each partner by patience: lines unique on both sides, in order, first, then
-the stretches between them.  Aligned common blocks of ``BLOCK_WORDS`` words or more are deleted
-from the later document; what was moved out of order is aligned again until no block is left.
+An anchor is a shortest run of lines with ``BLOCK_WORDS`` words or more, from its first line on or
+back from its last; blank lines don't count.  Shorter runs, however frequent, make no pair.  Each
+anchor points to its first document (the smallest doc_id) and its place there, found by a
+pre-aggregated minimum, so a passage in a third of all documents gives each of them one partner
+and never a group of pairs.  Nothing is lost by that: the anchors inside a run of enough words
+that any earlier document holds cover the run, and the first owner of each holds all of it.  A
+document is then aligned with each partner by patience: lines unique on both sides, in order,
+first, then the stretches between them.  Aligned common blocks of ``BLOCK_WORDS`` words or more are
+deleted from the later document; what was moved out of order is aligned again, and a block that
+an alignment broke up is taken whole.
 
 Defined results: a null text stays null; a text whose lines all go becomes empty; rows that share a
 doc_id are never compared with each other, and equal rows get equal results; all columns of the
@@ -16,14 +19,18 @@ input are kept; an empty table stays empty.
 from __future__ import annotations
 
 import bisect
+import itertools
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from narrative_engine.llm.bytewords import hashed
 from narrative_engine.llm.common import BLANK_RUN, BLANKS, let, staged, table
+from narrative_engine.llm.shingles import _POWERS, mix
 from narrative_engine.shipping import ship
 
 BLOCK_WORDS = 20
@@ -37,18 +44,37 @@ def own_lines(text: Column) -> Column:
     return F.transform(full, lambda x: F.struct(x["at"].alias("at"), F.xxhash64(x["line"]).alias("h"), F.size(F.split(x["line"], BLANK_RUN)).alias("n")))
 
 
-def anchors(lines: Column, block_words: int) -> Column:
-    """Structs (h, i, wide) of the anchors among ``lines``."""
+def windows(h: np.ndarray, n: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hash, first line and number of lines of the shortest runs of ``least`` words, forth from and back to every line."""
+    ends = np.concatenate(([0], np.cumsum(n)))
+    forth = np.searchsorted(ends, ends[:-1] + least)  # past the last line
+    back = np.searchsorted(ends, ends[1:] - least, side="right") - 1
+    i = np.concatenate((np.flatnonzero(forth <= len(n)), back[back >= 0]))
+    e = np.concatenate((forth[forth <= len(n)], 1 + np.flatnonzero(back >= 0)))
+    i, e = np.unique(np.stack((i, e)), axis=1)
+    _POWERS.upto(len(h) + 1)
+    total = np.zeros(len(h) + 1, dtype=np.uint64)
+    np.cumsum(mix(h) * _POWERS.up[: len(h)], out=total[1:])
+    return hashed(total, i, e), i, e - i
 
-    def build(ls: Column) -> Column:
-        one = F.transform(ls, lambda x, i: F.struct(x["h"].alias("h"), i.alias("i"), F.lit(0).alias("wide"), x["n"].alias("n")))
-        two = F.transform(
-            F.slice(ls, 2, F.greatest(F.size(ls) - 1, F.lit(0))),
-            lambda x, i: F.struct(F.xxhash64(F.get(ls, i)["h"], x["h"]).alias("h"), i.alias("i"), F.lit(1).alias("wide"), (x["n"] + F.get(ls, i)["n"]).alias("n")),
-        )
-        return F.filter(F.concat(one, two), lambda x: (x["wide"] == 1) | (x["n"] >= block_words))
 
-    return let(lines, build)
+def anchors(lined: DataFrame, block_words: int) -> DataFrame:
+    """(doc_id, text_key, h, i, k): the anchors of each document, ``k`` lines from line ``i`` on."""
+
+    def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            h, n, ends = b.column(2).flatten(), b.column(3).flatten(), b.column(2).offsets.to_numpy()
+            h, n, ends = h.to_numpy().view(np.uint64), n.to_numpy().astype(np.int64), ends - ends[0]
+            for at in range(0, len(b), 1024):
+                found = [windows(h[x:y], n[x:y], block_words) for x, y in itertools.pairwise(ends[at : at + 1025])]
+                rows = np.repeat(np.arange(at, at + len(found)), [len(f[0]) for f in found])
+                code, i, k = (np.concatenate(c) for c in zip(*found))
+                yield pa.RecordBatch.from_arrays(
+                    [b.column(0).take(pa.array(rows)), b.column(1).take(pa.array(rows)), pa.array(code.view(np.int64)), pa.array(i, pa.int32()), pa.array(k, pa.int32())],
+                    names=["doc_id", "text_key", "h", "i", "k"],
+                )
+
+    return lined.select("doc_id", "text_key", "lines.h", "lines.n").mapInArrow(build, "doc_id long, text_key long, h long, i int, k int")
 
 
 def rising(points: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -94,8 +120,9 @@ def patience(points: set[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def common_blocks(points: set[tuple[int, int]], words: list[int], least: int) -> list[int]:
-    """Places that lie in aligned common blocks of at least ``least`` words."""
+    """Places that lie in common blocks of at least ``least`` words, aligned or broken up by the alignment."""
     gone: list[int] = []
+    everywhere = sorted(points, key=lambda p: (p[1] - p[0], p[0]))
     while points:
         aligned, found, k = patience(points), [], 0
         while k < len(aligned):
@@ -109,19 +136,28 @@ def common_blocks(points: set[tuple[int, int]], words: list[int], least: int) ->
         gone += found
         drop = set(found)
         points = {p for p in points if p[0] not in drop} - set(aligned)
-    return gone
+    k = 0
+    while k < len(everywhere):
+        e = k + 1
+        while e < len(everywhere) and everywhere[e] == (everywhere[e - 1][0] + 1, everywhere[e - 1][1] + 1):
+            e += 1
+        places = [x for x, _ in everywhere[k:e]]
+        if sum(words[x] for x in places) >= least:
+            gone += places
+        k = e
+    return sorted(set(gone))
 
 
 def removals(docs: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
     """(doc_id, text_key, gone, partners, n_gone_words): places of the lines to delete, for documents that have any."""
     ship(docs.sparkSession)
     lined = staged(docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), own_lines(F.col("text")).alias("lines")))
-    asked = lined.select("doc_id", "text_key", F.explode(anchors(F.col("lines"), block_words)).alias("a")).select("doc_id", "text_key", "a.*")
+    asked = staged(anchors(lined, block_words))
     first = staged(
         asked.groupBy("h").agg(F.min(F.struct("doc_id", "i")).alias("first"), F.max("doc_id").alias("last"))
         .where("first.doc_id < last").select("h", F.col("first.doc_id").alias("ref"), F.col("first.i").alias("there"))
     )
-    met = asked.join(first, "h").where("doc_id > ref").groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("ref", "i", "there", "wide")).alias("met"))
+    met = asked.join(first, "h").where("doc_id > ref").groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("ref", "i", "there", "k")).alias("met"))
     rows = met.join(lined.dropDuplicates(["doc_id", "text_key"]), ["doc_id", "text_key"])
     rows = rows.select("doc_id", "text_key", "met", F.col("lines.at").alias("at"), F.col("lines.n").alias("n"))
 
@@ -131,7 +167,7 @@ def removals(docs: DataFrame, block_words: int = BLOCK_WORDS) -> DataFrame:
             for doc_id, key, met, at, n in zip(*[c.to_pylist() for c in b.columns]):
                 by: dict[int, set] = defaultdict(set)
                 for m in met:
-                    for k in range(1 + m["wide"]):
+                    for k in range(m["k"]):
                         by[m["ref"]].add((m["i"] + k, m["there"] + k))
                 gone: set[int] = set()
                 partners = []

@@ -177,6 +177,36 @@ def test_line_dedup_takes_shared_passages_from_later_documents(make_docs):
     assert got[101] is None and got[102] == "" and got[105] == ODD[4][1]
 
 
+def test_line_dedup_looks_past_an_edited_first_copy(make_docs):
+    lines = [words(6, 300 + k) for k in range(16)]
+    edited = [f"{words(6, 400 + k)}" if k % 4 == 0 else x for k, x in enumerate(lines)]
+    rows = [(1, "\n".join(edited)), (2, "\n".join(lines)), (3, "\n".join([words(30, 90), *lines])), (4, "\n".join([*lines[5:9], words(30, 91)]))]
+    got = dict(rows_of(line_dedup.deduped(make_docs(rows)), "doc_id", "text"))
+    assert (got[1], got[2]) == (rows[0][1], rows[1][1]) and got[3] == words(30, 90) and got[4] == words(30, 91)
+
+
+def test_line_dedup_takes_every_run_an_earlier_document_holds(make_docs):
+    rng, docs = random.Random(8), []
+    pool = [words(rng.choice((1, 3, 6, 9, 25)), 500 + k) for k in range(12)]
+    passages = [[rng.choice(pool) for _ in range(rng.randrange(3, 12))] for _ in range(6)]
+    for _ in range(40):
+        own = [x for p in rng.sample(passages, 3) for x in p if rng.random() < 0.93]
+        docs.append(own)
+    runs = [{tuple(d[i:j]) for i in range(len(d)) for j in range(i + 1, len(d) + 1)} for d in docs]
+    got = dict(rows_of(line_dedup.deduped(make_docs([(i, "\n".join(d)) for i, d in enumerate(docs)])), "doc_id", "text"))
+    for k, d in enumerate(docs):
+        gone = set()
+        for i in range(len(d)):
+            for j in range(i + 1, len(d) + 1):
+                if sum(len(x.split()) for x in d[i:j]) >= 20 and any(tuple(d[i:j]) in r for r in runs[:k]):
+                    gone |= set(range(i, j))
+        assert got[k] == "\n".join(x for i, x in enumerate(d) if i not in gone)
+
+
+def test_common_blocks_keep_what_an_alignment_breaks_up():
+    assert sorted(line_dedup.common_blocks({(0, 0), (0, 9), (1, 10), (2, 11)}, [8, 8, 8], 20)) == [0, 1, 2]
+
+
 def test_line_dedup_keeps_clashing_columns(make_docs):
     docs = make_docs([(1, words(30, 1)), (2, words(30, 1))]).withColumn("gone", F.lit(1)).withColumn("_id", F.lit(2)).withColumn("partners", F.lit("x"))
     out = line_dedup.deduped(docs)
