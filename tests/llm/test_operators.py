@@ -371,6 +371,29 @@ def test_lm_scores_match_brute_force(spark, make_docs):
     assert len(word_hashes(np.frombuffer(b"a b, a", dtype=np.uint8))) == 3
 
 
+def test_lm_counts_have_no_cap(spark, make_docs):
+    text = lambda i: " ".join(f"w{i * 400 + k // 2 if k % 2 else i}" for k in range(800))
+    rows = [(i, text(i % 50)) for i in range(100)]  # 20,000 words, each in two documents
+    labels = spark.createDataFrame([(i, 1) for i in range(50)], "doc_id long, quality int")
+    models = lm_scoring.train(lm_scoring.flagged(make_docs(rows), labels))
+    assert models.words == len({w for _, t in rows for w in t.split()}) > 1 << 14
+    uni, hist, n = {}, 0, 0
+    for i, t in rows[:50]:
+        for w in t.split():
+            uni[w] = uni.get(w, 0) + 1
+            n += 1
+    w, both = text(49).split(), {}
+    for _, t in rows[:50]:
+        for p in itertools.pairwise(["^", *t.split()]):
+            both[p] = both.get(p, 0) + 1
+    want = 0.0
+    for p, x in itertools.pairwise(["^", *w]):
+        q, hist = (uni[x] + 1) / (n + models.words + 1), 50 if p == "^" else uni[p]
+        want -= np.log((both[p, x] + lm_scoring.WEIGHT * q) / (hist + lm_scoring.WEIGHT))
+    got = {r["doc_id"]: r for r in lm_scoring.scored(make_docs(rows), models).collect()}
+    assert abs(got[49]["loss_target"] - want / len(w)) < 1e-9 and abs(got[49]["score"]) < 1e-9
+
+
 # --- HTML
 
 
