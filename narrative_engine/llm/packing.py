@@ -5,7 +5,11 @@ of at most ``capacity`` rows and the packing is solved on that: around the large
 open, fillings are searched by branch and bound (largest first, a filling that swaps an item for
 smaller ones is dominated and never tried before it; a branch ends where even a full fit could
 not beat the incumbent's waste), with the best-fit filling as first incumbent.  A filling is used
-as often as its lengths allow, so the work doesn't grow with the number of documents.  Pieces then
+as often as its lengths allow, so the work doesn't grow with the number of documents.  The better
+of that and a whole best-fit-decreasing packing is the incumbent; where it needs more sequences
+than the lower bound, undominated fillings are searched across sequences, with backtracking: first
+as often as they go, for numbers near the bound, then in every multiplicity for each number from
+the bound on, within about ``STEPS`` steps in all.  Pieces then
 find their sequence from their rank among pieces of equal length, which is counted in salted
 groups: no group of equal lengths meets in one task.
 
@@ -15,6 +19,7 @@ as documents of their own; an empty table packs into nothing.
 
 from __future__ import annotations
 
+import itertools
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -34,6 +39,8 @@ END = 1
 #: Rows of a salted group, about; and branches tried for one filling beyond the incumbent.
 GROUP_ROWS = 2_000
 BRANCHES = 64
+#: Steps of the search across sequences, a few seconds; if they don't run out, its result is the optimum.
+STEPS = 2_000_000
 
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -120,8 +127,8 @@ def complete(room: int, have: np.ndarray, branches: int = BRANCHES) -> list[int]
     return best
 
 
-def pack(counts: np.ndarray, capacity: int = CAPACITY) -> list[Filling]:
-    """Fillings that use up ``counts`` (by length)."""
+def completed(counts: np.ndarray, capacity: int) -> list[Filling]:
+    """Fillings that use up ``counts``, each the best for the largest length then open."""
     have = np.zeros(capacity + 1, dtype=np.int64)
     have[: len(counts)] = counts
     out: list[Filling] = []
@@ -140,6 +147,121 @@ def pack(counts: np.ndarray, capacity: int = CAPACITY) -> list[Filling]:
     return out
 
 
+def best_fit(counts: np.ndarray, capacity: int) -> list[Filling]:
+    """Best-fit decreasing on the histogram: each length goes where the least room is left."""
+    room: dict[int, list[tuple[tuple[tuple[int, int], ...], int]]] = {}
+    for x in np.flatnonzero(counts)[::-1].tolist():
+        n = int(counts[x])
+        while n:
+            free = min((f for f in room if f >= x), default=capacity)
+            parts, times = room[free].pop() if free in room else ((), n)
+            if free in room and not room[free]:
+                del room[free]
+            most = free // x
+            full, rest = min(times, n // most), n % most if n // most < times else 0
+            if full:
+                room.setdefault(free - most * x, []).append(((*parts, (x, most)), full))
+            if rest:
+                room.setdefault(free - rest * x, []).append(((*parts, (x, rest)), 1))
+            if parts and times > full + bool(rest):
+                room.setdefault(free, []).append((parts, times - full - bool(rest)))
+            n -= full * most + rest
+    return [Filling(times, parts) for groups in room.values() for parts, times in groups]
+
+
+def fillings(lengths: list[int], have: np.ndarray, slack: int, capacity: int, steps: list[int]) -> Iterator[tuple[int, tuple[tuple[int, int], ...]]]:
+    """(room left, parts) of the undominated fillings around the largest open length, largest parts first.
+
+    One that leaves more than ``slack``, or room for an open length, is dominated.
+    """
+    start = next(j for j, x in enumerate(lengths) if have[x])
+
+    def go(at: int, left: int, parts: tuple[tuple[int, int], ...]) -> Iterator[tuple[int, tuple[tuple[int, int], ...]]]:
+        for j in range(at, len(lengths)):
+            steps[0] -= 1
+            if steps[0] < 0:
+                return
+            x = lengths[j]
+            for n in range(min(int(have[x]), left // x), 0, -1):
+                yield from go(j + 1, left - n * x, (*parts, (x, n)))
+                if steps[0] < 0:
+                    return
+            if j == start:
+                return
+        used = dict(parts)
+        if left <= slack and all(x > left or have[x] <= used.get(x, 0) for x in lengths[::-1]):
+            yield left, parts
+
+    yield from go(start, capacity, ())
+
+
+def searched(counts: np.ndarray, sequences: int, capacity: int, steps: list[int], every: bool) -> list[Filling] | None:
+    """A packing into ``sequences``, or None if ``steps`` end or there is none.
+
+    Without ``every``, a filling is only tried as often as its lengths and the slack allow, so None proves nothing.
+    """
+    have = counts.copy()
+    lengths = np.flatnonzero(have)[::-1].tolist()
+    slack = sequences * capacity - int((np.arange(len(have)) * have).sum())
+
+    def choices(slack: int, last: tuple) -> Iterator[tuple[int, int, tuple]]:
+        largest = next(x for x in lengths if have[x])
+        found = fillings(lengths, have, slack, capacity, steps)
+        while some := sorted(itertools.islice(found, 256), key=lambda f: f[0]):
+            for left, parts in some:
+                if every and last and last[0][0] == largest and parts >= last:
+                    continue  # the same sequences in another order
+                most = min(int(have[x]) // n for x, n in parts)
+                most = min(most, slack // left) if left else most
+                for times in range(most, 0 if every else most - 1, -1):
+                    yield times, left, parts
+
+    chosen: list[tuple[int, int, tuple]] = []
+    open_ = [choices(slack, ())]
+    while steps[0] >= 0:
+        steps[0] -= 1
+        pick = next(open_[-1], None)
+        if pick is None:
+            open_.pop()
+            if not open_:
+                return None
+            times, left, parts = chosen.pop()
+            for x, n in parts:
+                have[x] += times * n
+            slack += times * left
+            continue
+        times, left, parts = pick
+        chosen.append(pick)
+        for x, n in parts:
+            have[x] -= times * n
+        slack -= times * left
+        if not have.any():
+            return [Filling(t, p) for t, _, p in chosen]
+        open_.append(choices(slack, parts))
+    return None
+
+
+def pack(counts: np.ndarray, capacity: int = CAPACITY, steps: int = STEPS) -> list[Filling]:
+    """Fillings that use up ``counts`` (by length)."""
+    size = lambda found: sum(f.times for f in found)
+    have = np.zeros(capacity + 1, dtype=np.int64)
+    have[: len(counts)] = counts
+    best = min((completed(have, capacity), best_fit(have, capacity)), key=size)
+    length = np.arange(capacity + 1)
+    bound = max(-(-int((length * have).sum()) // capacity), int(have[2 * length > capacity].sum()))
+    near = [bound, *(bound + (1 << k) for k in range(size(best).bit_length()))]
+    for sequences in near:
+        if sequences < size(best) and (found := searched(have, sequences, capacity, [steps // 16], False)):
+            best = found
+    left = [steps // 2]
+    for sequences in range(bound, size(best)):
+        if found := searched(have, sequences, capacity, left, True):
+            return found
+        if left[0] < 0:
+            break
+    return best
+
+
 def places(fillings: list[Filling], capacity: int = CAPACITY) -> np.ndarray:
     """Rows (length, first rank, first sequence, count a sequence, first offset), sorted; a few per filling."""
     used = np.zeros(capacity + 1, dtype=np.int64)

@@ -305,6 +305,36 @@ def test_bin_completion_is_optimal_on_small_cases():
         assert best(sizes, 20) <= used <= best(sizes, 20) + 1
 
 
+def test_packing_searches_across_sequences():
+    sizes = [2448, 1836, 1836, 1428, 1428, 1224, 1020, 612, 408]
+    for n in (1, 10, 1000):
+        counts = n * np.bincount(sizes, minlength=4097)
+        found = packing.pack(counts)
+        used = np.zeros(4097, dtype=int)
+        for f in found:
+            assert sum(x * k for x, k in f.parts) <= 4096
+            for x, k in f.parts:
+                used[x] += f.times * k
+        assert sum(f.times for f in found) == 3 * n and (used == counts).all()
+
+
+def test_packing_reaches_the_optimum_of_small_cases():
+    def fits(todo, rooms):
+        if not todo:
+            return True
+        return any(todo[0] <= r and fits(todo[1:], (*rooms[:i], r - todo[0], *rooms[i + 1 :])) for i, r in enumerate(rooms) if r not in rooms[:i])
+
+    rng = random.Random(6)
+    for _ in range(150):
+        sizes = sorted((rng.randint(2, 14) for _ in range(rng.randint(4, 11))), reverse=True)
+        counts = np.bincount(sizes, minlength=21)
+        least = next(k for k in range(1, 12) if fits(sizes, (20,) * k))
+        for found in (packing.pack(counts, 20), packing.best_fit(counts, 20)):
+            assert (sum(f.times * np.bincount(np.repeat(*zip(*f.parts)), minlength=21) for f in found) == counts).all()
+            assert all(sum(x * k for x, k in f.parts) <= 20 for f in found)
+        assert sum(f.times for f in packing.pack(counts, 20)) == least
+
+
 # --- models
 
 
