@@ -1,16 +1,17 @@
 """Main text of web pages by wrappers inferred per host.
 
-A page becomes a stream of tags and texts.  Equal neighbouring groups of the stream fold into one
-repeated group.  The folded streams of a few pages of a host are aligned one after the other into a
-union-free expression: what agrees stays, differing texts become slots, what only one side has
-becomes an optional group, and groups whose bodies agree but for their number become repeated ones.
-The wrapper tells the host's fixed texts (template, dropped outside articles) from its slots (content); slots in a
-container of navigation, notices, adverts, forms, comments and the like are no content either.  When
-a page has an article or main element, only what is inside counts.
-
-Wrappers are inferred from at most ``PAGES`` pages of a host (those of the smallest hashes of
-page_id, a documented bound) and applied to every page, each on its own, so a host of any size is
-just more rows.  Hosts with fewer than ``LEAST_PAGES`` different pages have no fixed texts.
+A page becomes a sequence of groups: texts in a row with the same path, and rows of paths that come
+again, are one repeated group.  Pages of a host whose groups agree are merged wherever they are read,
+and the merged ones are aligned per template: texts of a group that every page has stay fixed, the
+others are slots, and groups that only some pages have are optional.  Only then is a repeated group
+a slot, so texts that agree inside one stay fixed.  Pages belong to the template that half of their
+groups agree with, and each template of a host has a wrapper of its own, inferred from all its pages.
+
+The wrapper tells the template's fixed texts, dropped inside articles too but for headings, from its
+slots, which are the text; slots in a container of navigation, notices, adverts, forms, comments and
+the like are none.  When a page has an article or main element, only what is inside counts.  Pages
+whose article would lose over half of its characters are copies of one article, so theirs is kept.
+Templates with fewer than ``LEAST_PAGES`` different pages have no fixed texts.
 
 Defined results: null and empty pages have an empty text; markup that never closes ends with the
 page; a null url is a host of its own; repeated rows give equal rows; an empty table gives no rows.
@@ -19,6 +20,7 @@ page; a null url is a host of its own; repeated rows give equal rows; an empty t
 from __future__ import annotations
 
 import difflib
+import hashlib
 import html
 import re
 from collections.abc import Iterator
@@ -27,14 +29,13 @@ from dataclasses import dataclass
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from narrative_engine.llm.common import staged, table
 from narrative_engine.shipping import ship
 
-PAGES, LEAST_PAGES = 6, 3
-MOST_NODES = 4_000  # of a page that takes part in an inference; longer ones are only read, not learnt from
-BROADCAST_HOSTS, BROADCAST_IDS = 100_000, 500_000
+LEAST_PAGES = 3
+HELD = 2_000  # merged pages that a worker holds before it passes them on
+BROADCAST_HOSTS = 100_000
 
 #: Elements by what they do to text.
 RAW = frozenset("script style noscript template iframe textarea title svg math object canvas audio video select datalist option head".split())
@@ -193,39 +194,92 @@ def aligned(one: list[tuple], two: list[tuple]) -> list[tuple]:
     return out
 
 
-def alike(one: list[tuple], two: list[tuple]) -> bool:
-    """Whether two streams can come from one template: half of their tags agree."""
-    tags = lambda s: [n for n in s if n[0] in ("tag", "rep")]
-    return difflib.SequenceMatcher(None, tags(one), tags(two), autojunk=False).ratio() >= 0.5
+@dataclass
+class Merged:
+    """Pages of one sequence of groups: the paths, the texts that every page has in each, whether a group is optional, the first hashes of different pages."""
+
+    paths: list[str]
+    texts: list[list[str]]
+    optional: list[bool]
+    seen: list[int]
+
+    def saw(self, other: Merged) -> None:
+        self.seen = sorted({*self.seen, *other.seen})[:LEAST_PAGES]
+
+
+def agreed(one: list[str], two: list[str]) -> list[str]:
+    return one if one == two else [t for t in one if t in set(two)]
+
+
+def merged(found: list[Block]) -> Merged:
+    """A page: neighbouring groups of the same paths are one, with the texts of all of them."""
+    nodes = [(b.path, [b.text]) for b in found]
+    for width in range(1, 5):
+        out: list[tuple[str, list[str]]] = []
+        for n in nodes:
+            out.append(n)
+            if len(out) >= 2 * width and all(out[-k][0] == out[-k - width][0] for k in range(1, width + 1)):
+                for k in range(width, 0, -1):
+                    out[-k - width][1].extend(out[-k][1])
+                del out[-width:]
+        nodes = out
+    main = "\n".join(b.text for b in found if b.inside or not b.other)
+    return Merged([p for p, _ in nodes], [t for _, t in nodes], [False] * len(nodes), [int.from_bytes(hashlib.blake2b(main.encode(errors="surrogatepass"), digest_size=7).digest(), "big")])
+
+
+def both(one: Merged, two: Merged) -> Merged:
+    """The wrapper of the pages of both."""
+    if one.paths == two.paths:
+        out = Merged(one.paths, [agreed(x, y) for x, y in zip(one.texts, two.texts)], [x or y for x, y in zip(one.optional, two.optional)], one.seen)
+    else:
+        out = Merged([], [], [], one.seen)
+        for op, i, j, k, m in difflib.SequenceMatcher(None, one.paths, two.paths, autojunk=False).get_opcodes():
+            if op == "equal":
+                out.paths += one.paths[i:j]
+                out.texts += [agreed(x, y) for x, y in zip(one.texts[i:j], two.texts[k:m])]
+                out.optional += [x or y for x, y in zip(one.optional[i:j], two.optional[k:m])]
+            else:
+                for part, f, t in ((one, i, j), (two, k, m)):
+                    out.paths += part.paths[f:t]
+                    out.texts += part.texts[f:t]
+                    out.optional += [True] * (t - f)
+    out.saw(two)
+    return out
+
 
+def likeness(one: list[str], two: list[str]) -> float:
+    return difflib.SequenceMatcher(None, one, two, autojunk=False).ratio()
 
-def wrapper(pages: list[str], least: int = 1) -> list[tuple]:
-    """The expression of a host's pages, aligned one after the other from the one of middle length.
 
-    Pages of another template are left out; nothing is inferred from fewer than ``least`` pages.
-    """
-    streams = sorted((s for s in (stream(blocks(p)) for p in pages) if 0 < len(s) <= MOST_NODES), key=len)
-    if not streams:
-        return []
-    first = streams.pop(len(streams) // 2)
-    whole, n = first, 1
-    for s in streams:
-        if alike(first, s):
-            whole, n = aligned(whole, s), n + 1
-    return whole if n >= least else []
+def templates(parts: list[Merged]) -> list[tuple[list[str], set[tuple[str, str]]]]:
+    """(paths, fixed texts) of each template of a host."""
+    found: list[tuple[list[str], Merged]] = []
+    for m in sorted(parts, key=lambda m: (-len(m.seen), len(m.paths), m.paths)):
+        score, k = max(((likeness(lead, m.paths), -k) for k, (lead, _) in enumerate(found)), default=(0.0, 0))
+        if score >= 0.5:
+            found[-k] = (found[-k][0], both(found[-k][1], m))
+        else:
+            found.append((m.paths, m))
+    fixed = lambda m: {(p, t) for p, texts, o in zip(m.paths, m.texts, m.optional) if not o for t in texts} if len(m.seen) >= LEAST_PAGES else set()
+    return [(lead, fixed(m)) for lead, m in found]
 
 
-def fixed_texts(nodes: list[tuple]) -> set[tuple[str, str]]:
-    """(path, text) of the texts that every page has."""
-    return {(tag[1], n[1]) for tag, n in zip(nodes, nodes[1:]) if tag[0] == "tag" and n[0] == "text"}
+def chosen(paths: list[str], wrappers: list[tuple[list[str], set[tuple[str, str]]]]) -> set[tuple[str, str]]:
+    """The fixed texts of the template a page is most like."""
+    score, k = max(((likeness(lead, paths), -k) for k, (lead, _) in enumerate(wrappers)), default=(0.0, 0))
+    return wrappers[-k][1] if score >= 0.5 else set()
 
 
-def main_text(page: str | None, fixed: set[tuple[str, str]] = frozenset()) -> str:
+def main_text(page: str | None, wrappers: list[tuple[list[str], set[tuple[str, str]]]] = ()) -> str:
     found = blocks(page or "")
+    fixed = chosen(merged(found).paths, wrappers) if any(f for _, f in wrappers) else set()
     held = [b for b in found if b.inside and not b.other]
-    if not held:
-        held = [b for b in found if not b.other]
-    return "\n".join(b.text for b in held if b.inside or (b.path, b.text) not in fixed)
+    if held:
+        left = [b for b in held if (b.path, b.text) not in fixed or HEADINGS.intersection(b.path.split("/"))]
+        held = left if 2 * sum(len(b.text) for b in left) >= sum(len(b.text) for b in held) else held
+    else:
+        held = [b for b in found if not b.other and (b.path, b.text) not in fixed]
+    return "\n".join(b.text for b in held)
 
 
 def host(url=None):
@@ -233,27 +287,49 @@ def host(url=None):
 
 
 def wrappers(pages: DataFrame) -> DataFrame:
-    """(host, fixed): the template texts of each host that has any."""
-    ids = pages.select(host().alias("host"), "page_id", F.xxhash64("page_id").alias("h")).where("page_id IS NOT NULL")
-    ids = ids.withColumn("r", F.row_number().over(Window.partitionBy("host").orderBy("h", "page_id"))).where(F.col("r") <= PAGES)
-    ids = staged(ids.select(F.col("page_id").alias("_id"), F.col("host").alias("_host")))
-    ids = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-    sample = pages.select("page_id", "html", "url").where("html IS NOT NULL").join(ids, (F.col("page_id") == F.col("_id")) & (host() == F.col("_host")))
-    sample = sample.select("_host", "page_id", "html").groupBy("_host").agg(F.array_sort(F.collect_set(F.struct("page_id", "html"))).alias("pages"))
-
-    def infer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(host, templates): the wrappers of each host that has fixed texts, from all its pages."""
+    kinds = "host string, shape string, texts array<array<string>>, seen array<long>"
+
+    def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        state: dict[tuple[str, str], Merged] = {}
+
+        def told() -> pa.RecordBatch:
+            cols = [[h for h, _ in state], [p for _, p in state], [m.texts for m in state.values()], [m.seen for m in state.values()]]
+            types = [pa.string(), pa.string(), pa.list_(pa.list_(pa.string())), pa.list_(pa.int64())]
+            out = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types)], names=["host", "shape", "texts", "seen"])
+            state.clear()
+            return out
+
         for b in batches:
-            out = []
-            for name, pages in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                texts = list(dict.fromkeys(p["html"] for p in pages))[:PAGES]
-                different = {"\n".join(x.text for x in blocks(t) if x.inside or not x.other) for t in texts}
-                if len(different) >= LEAST_PAGES and (fixed := fixed_texts(wrapper(texts, LEAST_PAGES))):
-                    out.append((name, [{"path": p, "text": t} for p, t in sorted(fixed)]))
-            if out:
-                kind = pa.list_(pa.struct([("path", pa.string()), ("text", pa.string())]))
-                yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in out]), pa.array([x[1] for x in out], kind)], names=["_host", "fixed"])
+            for name, *rest in zip(*[c.to_pylist() for c in b.columns]):
+                if len(rest) == 1:
+                    m = merged(blocks(rest[0]))
+                else:
+                    m = Merged(rest[0].split("\n"), rest[1], [False] * len(rest[1]), rest[2])
+                if m.paths:
+                    key = name, "\n".join(m.paths)
+                    state[key] = both(state[key], m) if key in state else m
+                    if len(state) >= HELD:
+                        yield told()
+        if state:
+            yield told()
+
+    # merged where they are read, then by host and groups
+    parts = pages.where("html IS NOT NULL").select(host().alias("host"), "html").mapInArrow(learn, kinds)
+
+    def meet(rows: pa.Table) -> pa.Table:
+        return pa.Table.from_batches(learn(rows.to_batches()))
+
+    parts = parts.groupBy("host", "shape").applyInArrow(meet, kinds)
+
+    def infer(rows: pa.Table) -> pa.Table:
+        name = rows.column("host")[0].as_py()
+        found = templates([Merged(s.split("\n"), t, [False] * len(t), n) for s, t, n in zip(*[rows.column(c).to_pylist() for c in ("shape", "texts", "seen")])])
+        kind = pa.list_(pa.struct([("paths", pa.list_(pa.string())), ("fixed", pa.list_(pa.struct([("path", pa.string()), ("text", pa.string())])))]))
+        told = [[{"paths": p, "fixed": [{"path": x, "text": t} for x, t in sorted(f)]} for p, f in found]] if any(f for _, f in found) else []
+        return pa.Table.from_arrays([pa.array([name] * len(told), pa.string()), pa.array(told, kind)], names=["_host", "templates"])
 
-    return sample.mapInArrow(infer, "_host string, fixed array<struct<path:string,text:string>>")
+    return parts.groupBy("host").applyInArrow(infer, "_host string, templates array<struct<paths:array<string>,fixed:array<struct<path:string,text:string>>>>")
 
 
 def extracted(pages: DataFrame) -> DataFrame:
@@ -261,13 +337,13 @@ def extracted(pages: DataFrame) -> DataFrame:
     ship(pages.sparkSession)
     known = staged(wrappers(pages))
     known = F.broadcast(known) if known.count() <= BROADCAST_HOSTS else known
-    rows = pages.select("page_id", "url", "html").join(known, host() == F.col("_host"), "left").select("page_id", "url", "html", "fixed")
+    rows = pages.select("page_id", "url", "html").join(known, host() == F.col("_host"), "left").select("page_id", "url", "html", "templates")
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = []
-            for page, fixed in zip(b.column(2).to_pylist(), b.column(3).to_pylist()):
-                texts.append(main_text(page, {(x["path"], x["text"]) for x in fixed} if fixed else frozenset()))
+            for page, found in zip(b.column(2), b.column(3)):
+                texts.append(main_text(page.as_py(), [(w["paths"], {(x["path"], x["text"]) for x in w["fixed"]}) for w in found.as_py() or ()]))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     return rows.mapInArrow(read, "page_id long, url string, text string, n_chars long")

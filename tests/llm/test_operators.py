@@ -446,6 +446,16 @@ def test_wrapper_inference(spark):
     assert (got[8], got[9], got[10]) == ("", "", "open never closed")
 
 
+def test_wrappers_drop_template_inside_articles_and_in_repeated_groups(spark):
+    one = lambda k: f"<body><article><h1>Story</h1><p>Read more in our app today.</p><p>{words(30, k)}</p><p>{words(9, k + 90)}</p><p>Share this.</p></article></body>"
+    two = lambda k: f"<body><table><tr><td>Old site</td></tr></table><ul><li>Home<li>About</ul><blockquote>{words(20, k)}</blockquote></body>"
+    rows = [(k, f"http://a.example/{k}", one(k)) for k in range(40)] + [(k, f"http://a.example/{k}", two(k)) for k in range(40, 44)]
+    rows += [(k, f"http://b.example/{k}", one(7)) for k in range(50, 60)]  # copies have no template
+    got = dict(rows_of(html_extraction.extracted(spark.createDataFrame(rows, "page_id long, url string, html string")), "page_id", "text"))
+    assert all(got[k] == f"Story\n{words(30, k)}\n{words(9, k + 90)}" for k in range(40))
+    assert all(got[k] == words(20, k) for k in range(40, 44)) and got[50].endswith("Share this.")
+
+
 def test_union_free_alignment():
     one, two = html_extraction.stream(html_extraction.blocks("<ul><li>a<li>b</ul><p>x</p>")), html_extraction.stream(html_extraction.blocks("<ul><li>a<li>b<li>c</ul><p>x</p><h2>y</h2>"))
     kinds = [n[0] for n in html_extraction.aligned(one, two)]
