@@ -24,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from narrative_engine.llm.common import staged, table
 from narrative_engine.llm.shingles import mix, text_bytes
@@ -35,7 +36,6 @@ GRAMS = 60_000
 SHARE = 0.3
 LEAST = 3  # occurrences
 BITS, HASHES = 21, 2
-MOST_LANGUAGES = 512
 UNKNOWN = "und"
 
 _BLANK = np.uint8(32)
@@ -107,7 +107,7 @@ def train(docs: DataFrame) -> Filters:
     """Filters from the documents outside the held-out fold that have a language."""
     ship(docs.sparkSession)
     known = docs.where("lang IS NOT NULL AND text IS NOT NULL AND doc_id IS NOT NULL").where(fold() != HELD_OUT)
-    sizes = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect()
+    sizes = known.groupBy("lang").count().collect()  # a row per language
     if not sizes:
         return build([])
     chance = F.create_map(*[F.lit(v) for r in sizes for v in (r["lang"], min(1.0, SAMPLE / r["count"]))])
@@ -129,9 +129,11 @@ def train(docs: DataFrame) -> Filters:
     most = rated.groupBy("gram").agg(F.max("rate").alias("most"))
     held = staged(rated.join(most, "gram").where(F.col("rate") >= SHARE * F.col("most")).select("l", "gram", "rate"))
     out = []
-    for k, name in enumerate(names):  # a bounded list of languages, a bounded list of grams each
-        best = held.where(F.col("l") == k).orderBy(F.desc("rate"), "gram").limit(GRAMS).select("gram").toArrow()
-        out.append((name, best.column(0).to_numpy().astype(np.uint32)))
+    order = F.row_number().over(Window.partitionBy("l").orderBy(F.desc("rate"), "gram"))
+    for at in range(0, len(names), 64):  # a bounded list of grams for each language
+        best = held.where(F.col("l").between(at, at + 63)).withColumn("r", order).where(F.col("r") <= GRAMS).select("l", "gram").toArrow()
+        l, gram = (best.column(c).to_numpy() for c in ("l", "gram"))
+        out += [(names[k], gram[l == k].astype(np.uint32)) for k in range(at, min(at + 64, len(names)))]
     return build(out)
 
 

@@ -372,6 +372,12 @@ def test_language_filters(make_docs):
     assert language_id.train(make_docs([(1, None)])).languages == ()
 
 
+def test_every_language_is_learnt(spark):
+    rows = [(3 * k + j, " ".join([words(4, k)] * 3), f"l{k:03}") for k in range(520) for j in range(3)]
+    found = language_id.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert len(found.languages) > 512
+
+
 def test_lm_scores_match_brute_force(spark, make_docs):
     rows = [(i, words(20, i % 7) + " " + words(3, i)) for i in range(30)] + [(50, None), (51, "..")]
     docs, labels = make_docs(rows), spark.createDataFrame([(i, int(i % 2)) for i in range(30)], "doc_id long, quality int")
