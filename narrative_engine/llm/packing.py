@@ -52,8 +52,8 @@ def pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, e
         own = encoder(path or vocabulary_path())
         for batch in batches:
             out: list[tuple] = []
-            for doc_id, raw in zip(batch.column(0).to_pylist(), own.encode(batch.column(1).to_pylist())):
-                ids = as_ids(raw, end)
+            for doc_id, own_ids in zip(batch.column(0).to_pylist(), own.encode(batch.column(1))):
+                ids = as_ids(own_ids, end)
                 for k, at in enumerate(range(0, len(ids), capacity)):
                     part = ids[at : at + capacity]
                     out.append((doc_id, k, at, len(part), zlib.crc32(part.tobytes())))

@@ -102,9 +102,9 @@ def chunks(docs: DataFrame, path: str | None = None, kind: str = "byte", end: in
             return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(row, kinds)], names=[c.split()[0] for c in CHUNK.split(", ")])
 
         for batch in batches:
-            for doc_id, raw in zip(batch.column(0).to_pylist(), own.encode(batch.column(1).to_pylist())):
+            for doc_id, own_ids in zip(batch.column(0).to_pylist(), own.encode(batch.column(1))):
                 doc_ids.append(doc_id)
-                ids.append(as_ids(raw, end))
+                ids.append(as_ids(own_ids, end))
                 held += len(ids[-1])
                 if held >= CHUNK_IDS:
                     yield close()

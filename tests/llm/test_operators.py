@@ -1,5 +1,6 @@
 """Each operator against brute force, round trips or held-out accuracy, and on odd tables."""
 
+import functools
 import hashlib
 import itertools
 import random
@@ -8,7 +9,10 @@ import zlib
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from narrative_engine.llm import decontamination, html_extraction, jaccard_join, language_id, line_dedup, lm_scoring, packing, quality_rules, registry, token_store, toxicity
@@ -223,14 +227,37 @@ def tokenizer():
     return Tokenizer.from_file(vocabulary_path())
 
 
+@functools.lru_cache(maxsize=1)
+def whole_encoder():
+    return Encoder(vocabulary_path())
+
+
 TEXTS = ["Hello, World! it's 12.5% <|endoftext|> x", "Ünïcödé ß ſ İ ǅ", "á ẹ́  x y\x1cz\x85w", "", None, "don't we'll they're 3rd", "日本語 text 🙂🙂 ok", "tab\tnew\nline\r\n", "x" * 3000, "O̊ ﬁ", "''s 's"]
 
 
 def test_cached_encoding_is_the_librarys(tokenizer):
+    odd = ["a \x01 b\x01c \x01\x01 d", "(\"Hello,\") --x-- _a_ {b}=c+d @e", "ÀÉ straße ÿx ciónue%%% Éeu, 'quoted' <|oops|> <|endoftext", "é e\u0301 x\u00a0y\u2003z\u3000", "ab" * 200_000, "." * 9000]
+    texts = [*TEXTS, *odd, " ".join(TEXTS[:4])]
     own = Encoder(vocabulary_path())
     for _ in range(2):
-        got = [np.frombuffer(x, "<u2").tolist() for x in own.encode(TEXTS)]
-        assert got == [tokenizer.encode(t or "", add_special_tokens=False).ids for t in TEXTS]
+        got = [x.tolist() for x in own.encode(pa.array(texts))]
+        assert got == [tokenizer.encode(t or "", add_special_tokens=False).ids for t in texts]
+    assert all(len(w) <= 64 for w in own.words) and list(own.encode(pa.array([], pa.string()))) == []
+
+
+@given(st.lists(st.text(alphabet="abZé ÀÿǅıΣς'’.,-_<|>12\n\t\x01\x1c\x85\u00a0\u0301日🙂", max_size=40), max_size=6))
+@settings(max_examples=200, deadline=None)
+def test_any_text_gets_the_librarys_ids(texts):
+    own, plain = whole_encoder(), whole_encoder().whole
+    assert [x.tolist() for x in own.encode(pa.array(texts, pa.string()))] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
+
+
+def test_a_full_table_takes_no_more(monkeypatch):
+    monkeypatch.setattr("narrative_engine.llm.tokens.TABLE_BYTES", 2_000)
+    own = Encoder(vocabulary_path())
+    texts = [" ".join(words(300, i).split()) for i in range(5)]
+    assert [x.tolist() for x in own.encode(pa.array(texts))] == [own.whole.encode(t, add_special_tokens=False).ids for t in texts]
+    assert own.held < 2_500
 
 
 @pytest.mark.parametrize("kind", token_store.KINDS)
