@@ -36,8 +36,9 @@ from narrative_engine.shipping import ship
 
 CAPACITY = 4096
 END = 1
-#: Rows of a salted group, about; and branches tried for one filling beyond the incumbent.
+#: Rows of a salted group, about; groups of a block; and branches tried for one filling beyond the incumbent.
 GROUP_ROWS = 2_000
+BLOCK_GROUPS = 1_000
 BRANCHES = 64
 #: Steps of the search across sequences, a few seconds; if they don't run out, its result is the optimum.
 STEPS = 2_000_000
@@ -95,6 +96,8 @@ def complete(room: int, have: np.ndarray, branches: int = BRANCHES) -> list[int]
     best = greedy(room, {})
     lost = room - sum(best)
     tried = 0
+    size = np.arange(room + 1) * np.minimum(have[: room + 1], room)
+    most_of = np.cumsum(size)  # what all lengths up to one could fill
 
     def search(left: int, most: int, chosen: list[int]) -> None:
         nonlocal best, lost, tried
@@ -102,8 +105,10 @@ def complete(room: int, have: np.ndarray, branches: int = BRANCHES) -> list[int]
             best, lost = list(chosen), left
         if lost == 0 or tried >= branches or left == 0:
             return
-        # two lengths that close the gap exactly
         top = min(most, left)
+        if left - int(most_of[top]) >= lost:
+            return  # even all that is open leaves as much waste as the incumbent
+        # two lengths that close the gap exactly
         one = np.arange(1, top + 1)
         rest = left - one
         fits = (have[one] > 0) & (rest <= one) & (rest > 0)
@@ -282,11 +287,14 @@ def ranked(cut: DataFrame) -> DataFrame:
     total = cut.count()
     salt = F.pmod(F.xxhash64("doc_id", "piece"), F.lit(max(1, total // GROUP_ROWS)))
     rows = cut.withColumn("salt", salt)
-    before = (
-        rows.groupBy("length", "salt").agg(F.count("*").alias("n"))
-        .withColumn("base", F.sum("n").over(Window.partitionBy("length").orderBy("salt")) - F.col("n"))
-        .select(F.col("length").alias("_l"), F.col("salt").alias("_s"), "base")
-    )
+    # running sums in two steps: over the groups of a block, and over the blocks of a length
+    sums = rows.groupBy("length", "salt").agg(F.count("*").alias("n")).withColumn("block", F.floor(F.col("salt") / BLOCK_GROUPS))
+    sums = sums.withColumn("inner", F.sum("n").over(Window.partitionBy("length", "block").orderBy("salt")) - F.col("n"))
+    blocks = sums.groupBy("length", "block").agg(F.sum("n").alias("m"))
+    blocks = blocks.select(F.col("length").alias("_bl"), F.col("block").alias("_b"), (F.sum("m").over(Window.partitionBy("length").orderBy("block")) - F.col("m")).alias("outer"))
+    before = sums.join(blocks, (F.col("length") == F.col("_bl")) & (F.col("block") == F.col("_b"))).select(
+        F.col("length").alias("_l"), F.col("salt").alias("_s"), (F.col("inner") + F.col("outer")).alias("base")
+    )
     order = Window.partitionBy("length", "salt").orderBy("doc_id", "piece", "start", "ids_crc32")
     numbered = rows.withColumn("own", F.row_number().over(order) - 1)
     return (
