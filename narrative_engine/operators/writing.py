@@ -1,8 +1,10 @@
 """Prompts, exemplars and the deterministic writer.
 
 The writer stands in for a hosted model behind the same frame: it fills the slots of the exemplars
-in a prompt, so a narrative inherits their rounding, omissions and wording.  Without exemplars it
-writes the long neutral prose that a base prompt asks for.  Everything is a column expression.
+in a prompt, so a narrative inherits their rounding, omissions and wording.  Exemplars are samples,
+pairs of an explanation and a narrative, with the slots that reading them gives
+(:mod:`narrative_engine.operators.samples`).  Without exemplars it writes the long neutral prose that
+a base prompt asks for.  Everything is a column expression.
 """
 
 from __future__ import annotations
@@ -16,11 +18,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from narrative_engine.fixtures import CLAUSES, STYLE_PARTS, ZERO_SHOT
-from narrative_engine.operators.explanation import number_text, serialize_explanation
-from narrative_engine.settings import BASE_PROMPTS, CUE, DOMAINS, FORMATS, OUTPUT_RULES, SET_ASIDE, STYLES, TECHNIQUES
+from narrative_engine.operators import samples
+from narrative_engine.operators.columns import let, uniform
+from narrative_engine.operators.explanation import EXPLANATION_KINDS, number_text, serialize_explanation
+from narrative_engine.settings import BASE_PROMPTS, CUE, DOMAINS, OUTPUT_RULES, STYLES, TECHNIQUES
 from narrative_engine.shipping import ship
 
-EX = "struct<ex:int,clause:string,omits:boolean>"
+CLAUSE = "struct<c:string,up:string,down:string>"
+EX = f"struct<ex:string,expl_text:string,text:string,lead:string,joiner:string,tail:string,omits:boolean,clauses:array<{CLAUSE}>>"
 
 
 def about(x: Column) -> Column:
@@ -34,33 +39,81 @@ def coarse(x: Column) -> Column:
     return number_text(F.floor(x * 140 + 1.0) / 100)
 
 
-def filled(x: Column, clause: Column, up: Column, down: Column) -> Column:
+def filled(x: Column, clause: Column) -> Column:
+    """A clause (c, up, down) with the slots of feature ``x``."""
     size = F.abs(x["contribution"])
-    out = clause
-    for slot, text in (("{d}", F.when(x["contribution"] < 0, down).otherwise(up)), ("{c}", number_text(size)), ("{r}", about(size)), ("{k}", coarse(size)), ("{v}", x["value"]), ("{f}", x["feature"])):
+    out = clause["c"]
+    slots = (
+        ("{d}", F.when(x["contribution"] < 0, clause["down"]).otherwise(clause["up"])), ("{c}", number_text(size)), ("{r}", about(size)), ("{k}", coarse(size)),
+        ("{t}", F.format_number(F.floor(size + 0.5), 0)), ("{v}", x["value"]), ("{f}", x["feature"]),
+    )
+    for slot, text in slots:
         out = F.replace(out, F.lit(slot), text)
     return out
 
 
-def realized(expl: Column, exemplars: Column, lead: Column, up: Column, down: Column, joiner: Column, tail: Column) -> Column:
-    """The narrative: clause ``k`` follows exemplar ``k`` mod their number."""
-    n = F.size(expl) - F.when(F.get(exemplars, F.lit(0))["omits"] & (F.size(expl) > 1), 1).otherwise(0)
-    clauses = F.transform(F.slice(expl, 1, n), lambda x, i: filled(x, F.get(exemplars, i % F.size(exemplars))["clause"], up, down))
-    return F.concat(lead, F.replace(F.array_join(clauses, "\x01"), F.lit("\x01"), joiner), tail)
+def followed(exemplars: Column, n: Column) -> Column:
+    """The clauses of a narrative of ``n`` features: the k-th follows exemplar k mod their number, in its k-th clause or its last."""
+    def at(i: Column) -> Column:
+        e = F.get(exemplars, i % F.size(exemplars))
+        return F.get(e["clauses"], F.least(i, F.size(e["clauses"]) - 1))
+
+    return F.when(n > 0, F.transform(F.sequence(F.lit(0), n - 1), at)).otherwise(F.array().cast(f"array<{CLAUSE}>"))
+
+
+def told_features(expl: Column, omits: Column) -> Column:
+    return F.size(expl) - F.when(omits & (F.size(expl) > 1), 1).otherwise(0)
+
+
+def joined_clauses(expl: Column, clauses: Column, lead: Column, joiner: Column, tail: Column) -> Column:
+    parts = F.transform(clauses, lambda c, i: filled(F.get(expl, i), c))
+    return F.concat(lead, F.replace(F.array_join(parts, "\x01"), F.lit("\x01"), joiner), tail)
+
+
+def realized(expl: Column, exemplars: Column) -> Column:
+    """The narrative in the way of ``exemplars``; lead, joiner and tail are the first one's."""
+    def with_first(first: Column) -> Column:
+        return joined_clauses(expl, followed(exemplars, told_features(expl, first["omits"])), first["lead"], first["joiner"], first["tail"])
+
+    return let(F.get(exemplars, F.lit(0)), with_first)
+
+
+def zero_shot_exemplar(base: str) -> Column:
+    """The base prompt's prose as an exemplar without a sample."""
+    lead, slots, up, down, joiner, tail = ZERO_SHOT[base]
+    clause = F.struct(F.lit(slots).alias("c"), F.lit(up).alias("up"), F.lit(down).alias("down"))
+    return F.struct(
+        F.lit("zero").alias("ex"), F.lit("").alias("expl_text"), F.lit("").alias("text"), F.lit(lead).alias("lead"), F.lit(joiner).alias("joiner"), F.lit(tail).alias("tail"),
+        F.lit(False).alias("omits"), F.array(clause).alias("clauses"),
+    )
+
+
+def zero_shot(expl: Column, base: str = "plain") -> Column:
+    return realized(expl, F.array(zero_shot_exemplar(base)))
+
 
+def authored(entries: DataFrame) -> DataFrame:
+    """The hand-written narratives: the first five entries of each style, as its author words them."""
+    spark = entries.sparkSession
+    rows = [(s, k + 1, *(STYLE_PARTS[s][i] for i in (0, 3, 4)), flaw == "omits", [(c, STYLE_PARTS[s][1], STYLE_PARTS[s][2])]) for s in STYLES for k, (c, flaw) in enumerate(CLAUSES[s])]
+    own = spark.createDataFrame(rows, f"style string, place int, lead string, joiner string, tail string, omits boolean, clauses array<{CLAUSE}>")
+    one = F.array(F.struct("lead", "joiner", "tail", "omits", "clauses"))
+    return entries.join(F.broadcast(own), ["style", "place"]).select("style", "domain", "row_id", "place", "expl", realized(F.col("expl"), one).alias("text"))
 
-def style_frame(spark: SparkSession) -> DataFrame:
-    """style, domain, parts and the hand-written pool as an array; nine rows, always broadcast."""
-    rows = [
-        (s, STYLES[s][0], *STYLE_PARTS[s], [(k + 1, c, flaw == "omits") for k, (c, flaw) in enumerate(CLAUSES[s])])
-        for s in STYLES
-    ]
-    return spark.createDataFrame(rows, f"style string, domain string, lead string, up string, down string, joiner string, tail string, hand array<{EX}>")
+
+def style_frame(hand: DataFrame) -> DataFrame:
+    """style, domain and its hand-written exemplars, read from their narratives; nine rows, always broadcast.
+
+    The samples are five a style, so the driver reads them.
+    """
+    spark = hand.sparkSession
+    got = hand.select("style", "place", serialize_explanation("expl").alias("expl_text"), "text").orderBy("style", "place").collect()
+    rows = [(s, STYLES[s][0], [samples.as_row(samples.derived(str(r["place"]), r["expl_text"], r["text"])) for r in got if r["style"] == s]) for s in STYLES]
+    return spark.createDataFrame(rows, f"style string, domain string, hand array<{EX}>")
 
 
 def technique_frame(spark: SparkSession) -> DataFrame:
-    rows = [(t, b, h, n, *ZERO_SHOT[b]) for t, b, h, n in TECHNIQUES]
-    return spark.createDataFrame(rows, "technique int, base string, h int, b int, z_lead string, z_clause string, z_up string, z_down string, z_joiner string, z_tail string")
+    return spark.createDataFrame(list(TECHNIQUES), "technique int, base string, h int, b int")
 
 
 def entries(spark: SparkSession, explained: dict[str, DataFrame], whole: bool = False) -> DataFrame:
@@ -91,29 +144,32 @@ def drawn(pool: Column, n: Column, kind: str) -> Column:
 
 
 def sample_exemplars(df: DataFrame) -> DataFrame:
-    """``exemplars``: H hand-written and B bootstrapped ones of the row's style, drawn and mixed for this prompt."""
+    """``exemplars``: H hand-written and B bootstrapped ones of the row's style, drawn and mixed for this prompt; all where there are fewer."""
     both = F.concat(drawn(F.col("hand"), F.col("h"), "h"), drawn(F.col("boot"), F.col("b"), "b"))
     return df.withColumn("exemplars", F.transform(F.array_sort(both), lambda s: s["x"]))
 
 
 def write(df: DataFrame) -> DataFrame:
-    """``text`` of rows that have a style's parts, a technique and ``exemplars``."""
-    none = F.size("exemplars") == 0
-    pick = lambda z, own: F.when(none, F.col(z)).otherwise(F.col(own))
-    used = F.when(none, F.array(F.struct(F.lit(0).alias("ex"), F.col("z_clause").alias("clause"), F.lit(False).alias("omits")))).otherwise(F.col("exemplars"))
-    rows = df.withColumn("_used", used)
-    text = realized(F.col("expl"), F.col("_used"), pick("z_lead", "lead"), pick("z_up", "up"), pick("z_down", "down"), pick("z_joiner", "joiner"), pick("z_tail", "tail"))
-    return rows.withColumn("text", text).drop("_used")
+    """``text`` of rows that have a technique's base prompt and ``exemplars``; without exemplars in the base prompt's own prose."""
+    bare = F.coalesce(*[F.when(F.col("base") == b, F.array(zero_shot_exemplar(b))) for b in ZERO_SHOT])
+    rows = df.withColumn("_used", F.when(F.size("exemplars") == 0, bare).otherwise(F.col("exemplars")))
+    return rows.withColumn("text", realized(F.col("expl"), F.col("_used"))).drop("_used")
+
 
+def build_prompt(df: DataFrame, kind: str = "contributions", extras: Column | None = None) -> DataFrame:
+    """``prompt``: base, meaning of the inputs, exemplars, explanation, format, context, rules and cue.
 
-def build_prompt(df: DataFrame) -> DataFrame:
-    """``prompt``: base, meaning of the inputs, exemplars, explanation, format, context, rules and cue."""
+    Exemplars stand as pairs, their explanation and their narrative.  ``kind`` names the kind of
+    explanation; ``extras`` (map feature -> text) adds a field to every feature of this row.
+    """
     base = F.create_map(*[F.lit(v) for kv in BASE_PROMPTS.items() for v in kv])
     context = F.create_map(*[F.lit(v) for d in DOMAINS.values() for v in (d.name, d.context)])
-    shown = F.array_join(F.transform("exemplars", lambda x: F.concat(F.lit("Exemplar "), x["ex"].cast("string"), F.lit(": "), x["clause"])), "\n")
+    pair = lambda x: F.concat(F.lit("Explanation: "), x["expl_text"], F.lit("\n" + CUE + " "), x["text"])
+    shown = F.array_join(F.transform("exemplars", pair), "\n")
+    own = serialize_explanation("expl", extras) if kind.startswith("contributions") else EXPLANATION_KINDS[kind].serialize(F.col("expl"))
     prompt = F.concat_ws(
-        "\n", base[F.col("base")], F.lit("You get an explanation, its format and its context."), F.nullif(shown, F.lit("")),
-        F.concat(F.lit("Explanation: "), serialize_explanation("expl")), F.lit("Format: " + FORMATS["contributions"]),
+        "\n", base[F.col("base")], F.lit("You get an explanation, its format and its context."), F.when(F.size("exemplars") > 0, F.concat(F.lit("Examples:\n"), shown)),
+        F.concat(F.lit("Explanation: "), own), F.lit("Format: " + EXPLANATION_KINDS[kind].describe),
         F.concat(F.lit("Context: "), context[F.col("domain")]), F.lit(OUTPUT_RULES), F.lit(CUE),
     )
     return df.withColumn("prompt", prompt)
@@ -125,6 +181,40 @@ class TextBackend(Protocol):
     def complete(self, prompts: list[str]) -> list[str]: ...
 
 
+class RemoteBackend:
+    """A model behind an HTTP endpoint that takes {"prompts": [...]} and gives {"texts": [...]}.
+
+    Requests that fail are tried again after growing pauses; nothing calls it unless a user names an
+    endpoint.
+    """
+
+    def __init__(self, endpoint: str, batch: int = 16, tries: int = 4, pause: float = 0.5, timeout: float = 60.0, headers: dict[str, str] | None = None) -> None:
+        self.endpoint, self.batch, self.tries, self.pause, self.timeout, self.headers = endpoint, batch, tries, pause, timeout, headers or {}
+
+    def complete(self, prompts: list[str]) -> list[str]:
+        import json
+        import time
+        import urllib.request
+
+        out: list[str] = []
+        for at in range(0, len(prompts), self.batch):
+            part = prompts[at : at + self.batch]
+            request = urllib.request.Request(self.endpoint, json.dumps({"prompts": part}).encode(), {"Content-Type": "application/json", **self.headers})
+            for k in range(self.tries):
+                try:
+                    with urllib.request.urlopen(request, timeout=self.timeout) as answer:
+                        texts = json.load(answer)["texts"]
+                    break
+                except OSError:
+                    if k == self.tries - 1:
+                        raise
+                    time.sleep(self.pause * 2**k)
+            if len(texts) != len(part):
+                raise ValueError(f"{len(part)} prompts, {len(texts)} texts")
+            out += texts
+        return out
+
+
 def plan_calls(df: DataFrame) -> DataFrame:
     """Each different prompt once, by hash: what a paid backend has to answer."""
     return df.select(F.sha2("prompt", 256).alias("prompt_hash"), "prompt").dropDuplicates(["prompt_hash"])
@@ -147,20 +237,24 @@ def completed(calls: DataFrame, make: Callable[[], TextBackend]) -> DataFrame:
     return calls.select("prompt_hash", "prompt").mapInArrow(run, "prompt_hash string, answer string")
 
 
+#: Pairs of phrases that the noisy backend swaps.
+SWAPS = (("more likely", "less likely"), ("raises", "lowers"), ("higher estimate", "lower estimate"))
+
+
 def noisy(df: DataFrame, p: float = 0.3, seed: int = 7) -> DataFrame:
-    """``text`` with seeded mistakes: directions flipped or the first number doubled in a share ``p`` of the rows."""
-    u = F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}|"), F.col("style"), F.lit("|"), F.col("row_id")).cast("binary")), 1, 6), 16, 10).cast("double") / F.lit(float(1 << 24))
-    flip = F.replace(F.replace(F.replace(F.col("text"), F.lit("more likely"), F.lit("\x02")), F.lit("less likely"), F.lit("more likely")), F.lit("\x02"), F.lit("less likely"))
-    flip = F.replace(F.replace(F.replace(flip, F.lit("raises"), F.lit("\x02")), F.lit("lowers"), F.lit("raises")), F.lit("\x02"), F.lit("lowers"))
-    flip = F.replace(F.replace(F.replace(flip, F.lit("higher"), F.lit("\x02")), F.lit("lower estimate"), F.lit("higher estimate")), F.lit("\x02"), F.lit("lower"))
-    return df.withColumn("mistake", u < p).withColumn("text", F.when(u < p, flip).otherwise(F.col("text")))
+    """``text`` with seeded mistakes: every direction turned round in a share ``p`` of the rows."""
+    text = F.col("text")
+    for up, down in SWAPS:
+        text = F.replace(F.replace(F.replace(text, F.lit(up), F.lit("\x02")), F.lit(down), F.lit(up)), F.lit("\x02"), F.lit(down))
+    wrong = uniform(str(seed), F.col("style"), F.col("row_id")) < p
+    return df.withColumn("mistake", wrong).withColumn("text", F.when(wrong, text).otherwise(F.col("text")))
 
 
 def direct_explain(df: DataFrame, numeric: list[str], n: int = 3) -> DataFrame:
-    """The baseline without attributions: names the features farthest from their mean and guesses the direction from that."""
+    """The baseline without attributions: ``guess`` names the features farthest from their mean, ``text`` tells the direction that their side of it suggests."""
     stats = df.agg(*[F.struct(F.avg(F.col(c).cast("double")).alias("m"), F.stddev_pop(F.col(c).cast("double")).alias("s")).alias(f"_{c}") for c in numeric])
     z = lambda c: F.when(F.col(f"_{c}.s") > 0, (F.col(c).cast("double") - F.col(f"_{c}.m")) / F.col(f"_{c}.s")).otherwise(F.lit(0.0))
     guess = F.array(*[F.struct((-F.abs(z(c))).alias("k"), F.lit(c.replace("_", " ")).alias("feature"), F.signum(z(c)).cast("int").alias("direction")) for c in numeric])
-    return df.crossJoin(F.broadcast(stats)).withColumn("guess", F.slice(F.array_sort(guess), 1, n)).drop(*[f"_{c}" for c in numeric])
-
-
+    rows = df.crossJoin(F.broadcast(stats)).withColumn("guess", F.slice(F.array_sort(guess), 1, n)).drop(*[f"_{c}" for c in numeric])
+    clause = lambda g: F.concat(F.lit("The "), g["feature"], F.when(g["direction"] < 0, " lowers").otherwise(" raises"), F.lit(" the estimate."))
+    return rows.withColumn("text", F.array_join(F.transform("guess", clause), " "))

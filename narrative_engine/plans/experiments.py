@@ -22,6 +22,7 @@ PRICE_IN, PRICE_OUT, CHARS = 2.5, 10.0, 4
 def effects(frame: DataFrame, domain: str) -> DataFrame:
     """(feature, level, slope_or_effect, mean): the fitted card of a domain, rounded for reading."""
     out = None
+    frame = staged(frame)  # both fits read it
     if NUMERIC[domain]:
         card = at.fit_numeric(frame, NUMERIC[domain])
         out = card.select("feature", F.lit(None).cast("string").alias("level"), at.half_up(F.col("slope"), 3).alias("effect"), at.half_up(F.col("mean"), 3).alias("mean"))
@@ -32,7 +33,12 @@ def effects(frame: DataFrame, domain: str) -> DataFrame:
 
 
 def explained(frame: DataFrame, domain: str, n: int = ex.TOP) -> DataFrame:
-    """``frame`` with every feature's contribution and its top ``n``."""
+    """``frame`` with every feature's contribution and its top ``n``.
+
+    The frame is a row per case, far smaller than the tables it sums up; it is written once, and
+    fitting and scoring read that.
+    """
+    frame = staged(frame)
     numbers = at.fit_numeric(frame, NUMERIC[domain]) if NUMERIC[domain] else None
     levels = at.fit_categorical(frame, CATEGORICAL[domain]) if CATEGORICAL[domain] else None
     return ex.top_contributions(at.attribute_additive(frame, NUMERIC[domain], CATEGORICAL[domain], numbers, levels), n)
@@ -43,36 +49,65 @@ def explanations(spark: SparkSession, sf_dir: str, domain: str) -> DataFrame:
     return rows.select("row_id", ex.serialize_explanation("expl").alias("expl_text"), F.size("expl").alias("n_features"))
 
 
+#: Rounds of bootstrapping; round r follows 1, 2 or 3 hand-written exemplars, drawn anew for it.
+ROUNDS = 6
+
+
 class Study:
-    """Everything the grid needs, each part built once: entries, styles with their centre, length and bootstrapped pool."""
+    """Everything the grid needs: entries, hand-written narratives, styles with their exemplars, centre and length, bootstrapped pool."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, gate: dict[str, float] = GATE) -> None:
-        self.spark = spark
+    def __init__(self, spark: SparkSession, sf_dir: str, gate: dict[str, float] = GATE, wanted: int = BOOT, rounds: int = ROUNDS) -> None:
+        self.spark, self.gate, self.wanted = spark, gate, wanted
         domains = {d for d, _, _ in STYLES.values()}
         self.explained = {d: explained(features(spark, sf_dir, d), d) for d in sorted(domains)}
         self.entries = staged(wr.entries(spark, self.explained))
         self.techniques = wr.technique_frame(spark)
-        bare = wr.style_frame(spark)
-        hand = self.hand = staged(self._single(self.entries.where("place <= 5"), bare, F.get("hand", F.col("place") - 1)))
-        refs = gr.centroid(hand.withColumn("v", gr.style_vector(gr.masked(F.col("text"), F.col("expl"))))).join(gr.derive_longest(hand), "style")
-        self.refs = staged(refs)
-        pool = self.entries.where(f"place > 5 AND place <= {SET_ASIDE}").join(F.broadcast(bare.drop("domain").withColumn("one", F.explode("hand"))), "style")
-        pool = self._written(pool, F.array("one"))
-        self.candidates = staged(gr.graded(pool, self.refs))
-        ok = " AND ".join(f"{k} >= {v}" for k, v in gate.items())
-        self.accepted = self.candidates.where(ok)
-        key = F.md5(F.concat_ws("|", F.lit("boot"), "style", F.col("place").cast("string"), F.col("one.ex").cast("string")).cast("binary"))
-        first = self.accepted.withColumn("b", F.row_number().over(Window.partitionBy("style").orderBy(key))).where(F.col("b") <= BOOT)
-        boot = first.groupBy("style").agg(F.array_sort(F.collect_list(F.struct(F.col("b").cast("int").alias("ex"), F.col("one.clause").alias("clause"), F.col("one.omits").alias("omits")))).alias("boot"))
-        self.styles = bare.join(boot, "style", "left").withColumn("boot", F.coalesce("boot", F.array().cast(f"array<{wr.EX}>"))).join(self.refs, "style")
+        self.hand = staged(wr.authored(self.entries))
+        bare = wr.style_frame(self.hand)
+        self.refs = staged(gr.style_references(self.hand).join(gr.derive_longest(self.hand), "style"))
+        self.candidates = staged(self.bootstrapped(bare, rounds))
+        self.accepted = self.candidates.where(" AND ".join(f"{k} >= {v}" for k, v in gate.items()))
+        pool = self.pool().groupBy("style").agg(F.array_sort(F.collect_list(F.struct("b", "one"))).alias("p"))
+        pool = pool.select("style", F.transform("p", lambda x: x["one"]).alias("boot"))
+        self.styles = bare.join(pool, "style", "left").withColumn("boot", F.coalesce("boot", F.array().cast(f"array<{wr.EX}>"))).join(self.refs, "style")
         self.styles = staged(self.styles)
 
-    def _written(self, rows: DataFrame, exemplars: Column) -> DataFrame:
-        none = {c: F.lit("") for c in ("z_lead", "z_clause", "z_up", "z_down", "z_joiner", "z_tail")}
-        return wr.write(rows.withColumn("exemplars", exemplars).withColumns(none)).drop(*none)
+    def bootstrapped(self, styles: DataFrame, rounds: int) -> DataFrame:
+        """Graded candidates: every set-aside entry in every round, written after exemplars drawn for that round.
+
+        Rounds differ in their seed only, so all are one job; a pool is then filled in their order.
+        """
+        rows = self.entries.where(f"place > 5 AND place <= {SET_ASIDE}").join(F.broadcast(styles.drop("domain")), "style")
+        rows = rows.withColumn("round", F.explode(F.sequence(F.lit(1), F.lit(rounds))))
+        keyed = F.transform("hand", lambda x: F.struct(F.md5(F.concat_ws("|", F.col("style"), F.col("row_id"), F.lit("boot"), F.col("round").cast("string"), x["ex"]).cast("binary")).alias("k"), x.alias("x")))
+        some = F.transform(F.slice(F.array_sort(keyed), 1, F.least(1 + (F.col("round") - 1) % 3, F.size("hand"))), lambda s: s["x"])
+        rows = rows.withColumn("drawn", some).drop("hand").withColumn("text", wr.realized(F.col("expl"), F.col("drawn")))
+        return gr.graded(rows, self.refs)
+
+    def pool(self) -> DataFrame:
+        """style, b, round and the exemplar of the first ``wanted`` accepted narratives of a style, by round; equal texts count once.
+
+        A narrative's slots are those it was written with, so it is an exemplar of its own: another
+        entry, and the clauses of all the exemplars it followed.
+        """
+        key = F.md5(F.concat_ws("|", F.lit("boot"), "style", F.col("round").cast("string"), F.col("place").cast("string")).cast("binary"))
+        once = Window.partitionBy("style", "text").orderBy("round", key)
+        rows = self.accepted.withColumn("same", F.row_number().over(once)).where("same = 1")
+        rows = rows.withColumn("b", F.row_number().over(Window.partitionBy("style").orderBy("round", key))).where(F.col("b") <= self.wanted)
+        first = F.get("drawn", F.lit(0))
+        clauses = wr.followed(F.col("drawn"), wr.told_features(F.col("expl"), first["omits"]))
+        one = F.struct(
+            F.col("b").cast("string").alias("ex"), ex.serialize_explanation("expl").alias("expl_text"), "text", first["lead"].alias("lead"), first["joiner"].alias("joiner"), first["tail"].alias("tail"),
+            first["omits"].alias("omits"), clauses.alias("clauses"),
+        )
+        return rows.select("style", "b", "round", "place", "row_id", one.cast(wr.EX).alias("one"))
 
-    def _single(self, rows: DataFrame, styles: DataFrame, one: Column) -> DataFrame:
-        return self._written(rows.join(F.broadcast(styles.drop("domain")), "style").withColumn("one", one), F.array("one"))
+    def short_styles(self) -> DataFrame:
+        """Styles whose pool has fewer than wanted: style, candidates, accepted, in_pool, rounds_used."""
+        got = self.pool().groupBy("style").agg(F.count("*").alias("in_pool"), F.max("round").alias("rounds_used"))
+        ok = self.accepted.groupBy("style").agg(F.count("*").alias("accepted"))
+        rows = self.candidates.groupBy("style").agg(F.count("*").alias("candidates")).join(ok, "style", "left").join(got, "style", "left")
+        return rows.na.fill(0).withColumn("reached", F.col("in_pool") >= self.wanted)
 
     def prompts(self, rows: DataFrame | None = None) -> DataFrame:
         """Evaluated entries x techniques with their exemplars and text; both sides beyond the entries are a few fixed rows."""
@@ -81,7 +116,13 @@ class Study:
         return wr.write(wr.sample_exemplars(wide))
 
     def grid(self, rows: DataFrame | None = None, **policies) -> DataFrame:
-        return gr.graded(staged(self.prompts(rows)), self.refs, **policies)
+        return gr.graded(staged(self.prompts(rows)), self.refs, key=("style", "row_id", "technique"), **policies)
+
+    def whole_grid(self, **policies) -> DataFrame:
+        """The grid over every row of every domain but the set-aside ones, each in all styles of its domain."""
+        aside = self.entries.where(f"place <= {SET_ASIDE}").select("style", "row_id")
+        rows = wr.entries(self.spark, self.explained, whole=True).join(F.broadcast(aside), ["style", "row_id"], "left_anti")
+        return gr.graded(self.prompts(rows), self.refs, key=("style", "row_id", "technique"), **policies)
 
 
 def weighted(df: DataFrame) -> list[Column]:
@@ -100,11 +141,32 @@ def score_tables(grid: DataFrame) -> DataFrame:
     return rows.agg(F.count("*").alias("n"), *weighted(grid))
 
 
-def spread(grid: DataFrame) -> DataFrame:
-    """Spread of the total across styles and across narratives, by technique."""
-    by = grid.groupBy("technique", "style").agg(F.avg("total").alias("m"))
-    across = by.groupBy("technique").agg(at.half_up(F.stddev_pop("m"), 3).alias("across_styles"))
-    return across.join(grid.groupBy("technique").agg(at.half_up(F.stddev_pop("total"), 3).alias("across_narratives")), "technique")
+METRICS = (("a", "accuracy"), ("c", "completeness"), ("f", "fluency"), ("s", "conciseness"), ("total", "total"))
+
+
+def _units(c: str) -> Column:
+    """A weighted grade in whole ten-thousandths; sums of them don't depend on their order."""
+    return F.floor(F.col(c) * WEIGHTS.get(c, 1.0) * 10000 + 0.5).cast("bigint")
+
+
+def _deviation(n: Column, s: Column, q: Column, sample: bool) -> Column:
+    """Standard deviation from the exact count, sum and sum of squares."""
+    left = n * q - s * s
+    down = n * (n - 1) if sample else n * n
+    return F.when(down > 0, F.sqrt(F.greatest(left, F.lit(0)).cast("double") / down.cast("double")) / 10000.0)
+
+
+def spread(grid: DataFrame, by: str = "technique", across: str = "style") -> DataFrame:
+    """Spread of every metric by ``by``: over narratives, and over the means of the ``across`` groups (population and sample)."""
+    sums = [f for c, n in METRICS for f in (F.sum(_units(c)).alias(f"s_{n}"), F.sum((_units(c) * _units(c)).cast("decimal(38,0)")).alias(f"q_{n}"))]
+    inner = grid.groupBy(by).agg(F.count("*").alias("n"), *sums)
+    dec = lambda c: F.col(c).cast("decimal(38,0)")
+    over = [at.half_up(_deviation(dec("n"), dec(f"s_{n}"), dec(f"q_{n}"), False), 4).alias(f"{n}_over_narratives") for _, n in METRICS]
+    mean = lambda n: F.floor(F.col(f"s_{n}") / F.col("n") + 0.5).cast("bigint")
+    groups = grid.groupBy(by, across).agg(F.count("*").alias("n"), *[F.sum(_units(c)).alias(f"s_{n}") for c, n in METRICS]).select(by, across, *[mean(n).alias(n) for _, n in METRICS])
+    outer = groups.groupBy(by).agg(F.count("*").alias("g"), *[f for _, n in METRICS for f in (F.sum(n).alias(f"s_{n}"), F.sum((F.col(n) * F.col(n)).cast("decimal(38,0)")).alias(f"q_{n}"))])
+    far = [at.half_up(_deviation(dec("g"), dec(f"s_{n}"), dec(f"q_{n}"), k), 4).alias(f"{n}_{name}") for _, n in METRICS for k, name in ((False, "across"), (True, "across_sample"))]
+    return outer.select(by, *far).join(inner.select(by, "n", *over), by)
 
 
 def best_techniques(scores: DataFrame) -> DataFrame:
@@ -114,9 +176,27 @@ def best_techniques(scores: DataFrame) -> DataFrame:
     return ranked.select("metric", "technique", "score", gr.banded(F.when(F.col("metric") == "total", F.col("score") / 4).otherwise(F.col("score"))).alias("band"))
 
 
+NAMES = tuple(n for _, n in METRICS)
+
+
 def heatmap(scores: DataFrame) -> DataFrame:
-    """Total by H (rows) and B (columns) of the first base prompt."""
-    return scores.where("base = 'plain'").groupBy("h").pivot("b", [0, 1, 3, 5]).agg(F.first("total")).select("h", *[F.col(str(b)).alias(f"b{b}") for b in (0, 1, 3, 5)])
+    """Every metric by H (rows) and B (columns) of the first base prompt."""
+    long = scores.where("base = 'plain'").unpivot(["h", "b"], list(NAMES), "metric", "score")
+    return long.groupBy("metric", "h").pivot("b", [0, 1, 3, 5]).agg(F.first("score")).select("metric", "h", *[F.col(str(b)).alias(f"b{b}") for b in (0, 1, 3, 5)])
+
+
+def exemplar_correlations(scores: DataFrame) -> DataFrame:
+    """Correlation of each metric with the number of hand-written and of bootstrapped exemplars, over the few-shot techniques."""
+    long = scores.where("base = 'plain' AND h > 0").unpivot(["h", "b"], list(NAMES), "metric", "score").withColumn("u", F.floor(F.col("score") * 10000 + 0.5).cast("bigint"))
+    by = lambda x: pearson(F.count("*"), F.sum(x), F.sum("u"), F.sum(F.col(x) * F.col(x)), F.sum(F.col("u") * F.col("u")), F.sum(F.col(x) * F.col("u")))
+    return long.groupBy("metric").agg(at.half_up(by("h"), 3).alias("with_h"), at.half_up(by("b"), 3).alias("with_b"))
+
+
+def pearson(n: Column, sx: Column, sy: Column, sxx: Column, syy: Column, sxy: Column) -> Column:
+    """Correlation from exact whole-number sums; null where one side never changes."""
+    d = lambda c: c.cast("double")
+    vx, vy = d(n * sxx - sx * sx), d(n * syy - sy * sy)
+    return F.when((vx > 0) & (vy > 0), d(n * sxy - sx * sy) / F.sqrt(vx) / F.sqrt(vy))
 
 
 def select_base_prompt(scores: DataFrame) -> DataFrame:
@@ -200,12 +280,34 @@ def validation_set(entries: DataFrame, metric: str) -> DataFrame:
     return rows.withColumn("text", F.array_join(F.transform(told, sentence), " "))
 
 
-def graded_pairs(pairs: DataFrame, metric: str, policy=None) -> DataFrame:
-    """``pairs`` with the grader's grade."""
+def graded_pairs(pairs: DataFrame, metric: str, policy=None, error: float = 0.0) -> DataFrame:
+    """``pairs`` with the grader's grade; with ``error``, that of a judge whose draws err so often, rounded."""
     policy = policy or (gr.AccuracyPolicy() if metric == "accuracy" else gr.CompletenessPolicy())
-    found = gr.claims(F.col("text"), F.col("expl"))
     fn = gr.accuracy if metric == "accuracy" else gr.completeness
-    return pairs.withColumn("claims", found).withColumn("grader", fn(F.col("claims"), policy))
+    rows = pairs.withColumn("claims", gr.claims(F.col("text"), F.col("expl"))).withColumn("grader", fn(F.col("claims"), policy))
+    if error:
+        top = policy.levels - 1 if metric == "accuracy" else 2
+        drawn = gr.mean_draw(gr.draws(F.col("grader"), F.concat_ws("|", F.lit(metric), "style", "row_id"), error, top=top))
+        rows = rows.withColumn("grader", F.floor(drawn + 0.5).cast("int"))
+    return rows
+
+
+def grader_correlation(pairs: DataFrame) -> DataFrame:
+    """(metric, n, pearson, spearman) of ``pairs`` (metric, human, grader): plain, and of the ranks (mean rank of ties)."""
+    rank = lambda c: 2 * F.rank().over(Window.partitionBy("metric").orderBy(c)) + F.count("*").over(Window.partitionBy("metric", c))  # noqa: E731  twice the mean rank plus one
+    rows = pairs.select("metric", F.col("human").cast("bigint").alias("x"), F.col("grader").cast("bigint").alias("y"), rank("human").cast("bigint").alias("rx"), rank("grader").cast("bigint").alias("ry"))
+    both = lambda x, y: pearson(F.count("*"), F.sum(x), F.sum(y), F.sum(F.col(x) * F.col(x)), F.sum(F.col(y) * F.col(y)), F.sum(F.col(x) * F.col(y)))
+    return rows.groupBy("metric").agg(F.count("*").alias("n"), at.half_up(both("x", "y"), 4).alias("pearson"), at.half_up(both("rx", "ry"), 4).alias("spearman"))
+
+
+def per_class(counts: DataFrame) -> DataFrame:
+    """Precision and recall of the grader by class, from (metric, human, grader, n)."""
+    hit = counts.where("human = grader").select("metric", F.col("human").alias("class"), F.col("n").alias("hit"))
+    said = counts.groupBy("metric", F.col("grader").alias("class")).agg(F.sum("n").alias("said"))
+    meant = counts.groupBy("metric", F.col("human").alias("class")).agg(F.sum("n").alias("meant"))
+    rows = meant.join(said, ["metric", "class"], "left").join(hit, ["metric", "class"], "left").na.fill(0)
+    share = lambda a, b: F.when(F.col(b) > 0, at.half_up(F.col(a) / F.col(b), 4))
+    return rows.select("metric", "class", share("hit", "said").alias("precision"), share("hit", "meant").alias("recall"))
 
 
 def agreement_by_category(df: DataFrame) -> DataFrame:
@@ -238,34 +340,62 @@ def published_totals(spark: SparkSession) -> DataFrame:
     return df.select("name", at.half_up(total, 3).alias("recomputed"), "printed", (F.abs(total - F.col("printed")) <= 0.0015).alias("agrees"))
 
 
-def revise_policy(pairs: DataFrame, target: float = 0.95) -> DataFrame:
-    """Agreement of every accuracy policy on the same pairs, in one job; the first that reaches ``target`` is chosen."""
-    grid = [(o, d, v, t) for o in (False, True) for d in (False, True) for v in (False, True) for t in (0.0, 0.05)]
-    out = None
-    for k, (o, d, v, t) in enumerate(grid):
-        policy = gr.AccuracyPolicy(allow_omission=o, check_direction=d, check_values=v, tolerance=t)
-        g = gr.accuracy(gr.claims(F.col("text"), F.col("expl"), t), policy)
-        rows = pairs.select(F.lit(k).alias("policy"), F.lit(o).alias("allow_omission"), F.lit(d).alias("check_direction"), F.lit(v).alias("check_values"), F.lit(t).alias("tolerance"), (g == F.col("human")).cast("int").alias("ok"))
-        out = rows if out is None else out.unionByName(rows)
-    return out.groupBy("policy", "allow_omission", "check_direction", "check_values", "tolerance").agg(F.count("*").alias("n"), F.sum("ok").alias("agreed")).withColumn("reached", F.col("agreed") >= target * F.col("n"))
+#: The policies that revision goes through, in the order of the questions' growth.
+ACCURACY_POLICIES = {
+    "plain question": gr.AccuracyPolicy.plain(), "yes or no": gr.AccuracyPolicy.asked_yes_no(),
+    "two points": gr.AccuracyPolicy(allow_omission=False, check_direction=False, stepwise=False), "omission is fine": gr.AccuracyPolicy(check_direction=False, stepwise=False),
+    "directions count": gr.AccuracyPolicy(stepwise=False), "step by step": gr.AccuracyPolicy(), "three points": gr.AccuracyPolicy(levels=3),
+    "no tolerance": gr.AccuracyPolicy(tolerance=0.0),
+}
+COMPLETENESS_POLICIES = {"plain question": gr.CompletenessPolicy(per_feature=False), "checklist": gr.CompletenessPolicy(), "contributions required": gr.CompletenessPolicy(require_contrib=True)}
 
 
-def style_gap(vectors: DataFrame, sizes: tuple[int, ...] = (1, 2, 3, 4)) -> DataFrame:
+def revise_policy(pairs: DataFrame, metric: str = "accuracy", target: float = 0.95) -> DataFrame:
+    """Agreement of every policy on the same pairs, in one scan; the first that reaches ``target`` is chosen, else the best."""
+    known = ACCURACY_POLICIES if metric == "accuracy" else COMPLETENESS_POLICIES
+    fn = gr.accuracy if metric == "accuracy" else gr.completeness
+    told = []
+    for k, (name, policy) in enumerate(known.items()):
+        read = gr.claims(F.col("text"), F.col("expl"), gr.Reading(getattr(policy, "tolerance", gr.TOLERANCE)))
+        g = fn(read, policy)
+        g = F.when(g > 0, 1).otherwise(0) if getattr(policy, "levels", 2) == 3 else g  # misleading counts as accurate
+        told.append(F.struct(F.lit(k).alias("place"), F.lit(name).alias("policy"), (g == F.col("human")).cast("int").alias("ok")))
+    rows = pairs.select(F.inline(F.array(*told))).groupBy("place", "policy").agg(F.count("*").alias("n"), F.sum("ok").alias("agreed"))
+    rows = rows.withColumn("reached", F.col("agreed") >= target * F.col("n"))
+    order = Window.orderBy(F.desc("reached"), F.when(F.col("reached"), 0).otherwise(-F.col("agreed")), "place")  # a row per policy
+    return rows.withColumn("chosen", F.row_number().over(order) == 1)
+
+
+#: Draws of the exemplars for each number of them.
+GAP_DRAWS = 5
+
+
+def style_gap(vectors: DataFrame, sizes: tuple[int, ...] = (1, 2, 3, 4), terms: tuple[str, ...] = ("surface",), draws: int = GAP_DRAWS) -> DataFrame:
     """Own and hardest other fluency by number of exemplars: ``vectors`` has style, k (from 1) and v.
 
-    The first ``n`` of each style are exemplars, the rest is judged against every style's centre
-    (a few broadcast rows).
+    For each number and draw, exemplars are taken by chance (md5 of the draw), and the rest of a style
+    is judged against every style's centre (a few broadcast rows).
     """
-    out = None
-    for n in sizes:
-        centre = gr.centroid(vectors.where(F.col("k") <= n)).withColumnRenamed("style", "against")
-        rows = vectors.where(F.col("k") > n).crossJoin(F.broadcast(centre)).withColumn("f", gr.fluency(F.col("v"), F.col("centre")))
-        own = rows.where("style = against").groupBy("style").agg(F.sum("f").alias("own"), F.count("*").alias("n_own"))
-        other = rows.where("style <> against").groupBy("style", "against").agg(F.sum("f").alias("o"), F.count("*").alias("m")).groupBy("style").agg(F.max(F.col("o") / F.col("m")).alias("other"))
-        gaps = own.join(other, "style").withColumn("gap", F.col("own") / F.col("n_own") - F.col("other"))
-        one = gaps.agg(F.lit(n).alias("n"), at.half_up(F.avg(F.col("own") / F.col("n_own")), 3).alias("own"), at.half_up(F.avg("other"), 3).alias("other"), at.half_up(F.avg("gap"), 3).alias("gap"), at.half_up(F.min("gap"), 3).alias("worst"))
-        out = one if out is None else out.unionByName(one)
-    return out
+    key = F.md5(F.concat_ws("|", F.col("n").cast("string"), F.col("draw").cast("string"), "style", F.col("k").cast("string")).cast("binary"))
+    cases = F.explode(F.array(*[F.struct(F.lit(n).alias("n"), F.lit(d).alias("draw")) for n in sizes for d in range(1, draws + 1)]))
+    rows = vectors.withColumn("_c", cases).select("style", "k", "v", "_c.*").withColumn("place", F.row_number().over(Window.partitionBy("n", "draw", "style").orderBy(key, "k")))
+    picked = rows.where("place <= n").withColumn("_g", F.concat_ws("|", F.col("n").cast("string"), F.col("draw").cast("string"), "style"))
+    centre = gr.centroid(picked, "_g", terms).select(F.split("_g", r"\|").alias("p"), "centre").select(F.col("p")[0].cast("int").alias("n"), F.col("p")[1].cast("int").alias("draw"), F.col("p")[2].alias("against"), "centre")
+    judged = rows.where("place > n").join(F.broadcast(centre), ["n", "draw"]).withColumn("f", gr.fluency(F.col("v"), F.col("centre")))
+    own = judged.where("style = against").groupBy("n", "draw", "style").agg(F.sum("f").alias("own"), F.count("*").alias("m"))
+    other = judged.where("style <> against").groupBy("n", "draw", "style", "against").agg(F.sum("f").alias("o")).groupBy("n", "draw", "style").agg(F.max("o").alias("other"))
+    unit = lambda c: F.floor(F.col(c) * 10000 / F.col("m") + 0.5).cast("bigint")
+    gaps = own.join(other, ["n", "draw", "style"]).select("n", unit("own").alias("own"), unit("other").alias("other")).withColumn("gap", F.col("own") - F.col("other"))
+    mean = lambda c: (F.floor(F.sum(c) / F.count("*") + 0.5) / 10000).alias(c)
+    return gaps.groupBy("n").agg(mean("own"), mean("other"), mean("gap"), (F.min("gap") / 10000).alias("worst"))
+
+
+def enough_exemplars(gaps: DataFrame, least: float = 0.05) -> DataFrame:
+    """``gaps`` with what one step more brings, and the number from which no further step brings ``least``."""
+    order = Window.orderBy("n")  # a row per number of exemplars
+    rows = gaps.withColumn("gain", at.half_up(F.col("gap") - F.lag("gap").over(order), 4))
+    last = F.max(F.when(F.col("gain") >= least, F.col("n"))).over(Window.partitionBy())
+    return rows.withColumn("enough", F.col("n") == F.coalesce(last, F.min("n").over(Window.partitionBy())))
 
 
 def evaluated_count() -> int:

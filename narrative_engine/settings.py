@@ -36,6 +36,7 @@ FORMATS = {
     "contributions": "A list of (feature, value, contribution), largest contribution first; the sign tells whether the feature raised or lowered the output.",
     "contributions_with_statistics": "A list of (feature, value, contribution, usual value), largest contribution first; the sign tells the direction.",
     "rules": "A list of (condition, outcome), in order of importance.",
+    "examples": "A list of (case, outcome): cases like this one and how they came out.",
 }
 
 
@@ -59,9 +60,9 @@ DOMAINS = {
         Domain("basket", "The model estimates the value of an order in dollars", "order", "dollars", "raises the estimate", "lowers the estimate",
                ("line count", "quantity", "mean discount", "mean tax", "parts", "suppliers", "ship lag", "balance"), ("priority", "status", "segment", "region")),
         Domain("toxic", "The model estimates how likely a document is abusive", "document", "points", "makes abuse more likely", "makes abuse less likely",
-               (), ("language", "source", "length", "punctuation", "case", "repetition", "insult word", "web link")),
+               (), ("language", "source", "length", "punctuation", "letter case", "repetition", "insult word", "web link")),
         Domain("junk", "The model estimates how likely a document is junk", "document", "points", "makes junk more likely", "makes junk less likely",
-               ("characters", "word count", "lines", "word length", "nonletter share", "upper share", "digit share", "symbol share", "repeated lines", "exclamations"), ()),
+               ("characters", "word count", "line count", "word length", "nonletter share", "upper share", "digit share", "symbol share", "repeated lines", "exclamations"), ()),
         Domain("spend", "The model estimates how likely a customer is to spend more than most", "customer", "points", "makes high spending more likely", "makes high spending less likely",
                ("order count", "active months", "priorities"), ("market segment", "home nation", "home region", "positive balance", "urgent order", "open order")),
         Domain("activity", "The model estimates the value that a user brings in a day", "user day", "units", "raises the estimate", "lowers the estimate",
@@ -77,7 +78,7 @@ STYLES = {
 }
 SET_ASIDE = 10  # entries of each style that serve as exemplars; the rest, 169, are evaluated
 
-#: Published means, by technique: weighted A, C, F, S and total.
+#: Published means, by technique: weighted A, C, F, S and total.
 PUBLISHED_TECHNIQUES = (
     (1, 4.000, 4.000, 2.467, 0.850, 11.317), (2, 3.911, 4.000, 2.467, 0.872, 11.250), (3, 4.000, 4.000, 2.222, 1.056, 11.278),
     (4, 3.289, 3.511, 3.622, 3.749, 14.171), (5, 3.111, 3.422, 3.689, 3.708, 13.930), (6, 3.111, 3.289, 3.644, 3.669, 13.713),
@@ -85,19 +86,19 @@ PUBLISHED_TECHNIQUES = (
     (10, 3.262, 3.631, 3.846, 3.890, 14.629), (11, 3.289, 3.333, 3.933, 3.983, 14.538), (12, 3.289, 3.467, 3.889, 3.988, 14.632),
     (13, 3.378, 3.422, 3.911, 3.977, 14.688),
 )
-#: Published means of the two best settings, by exemplar set.
+#: Published means of the two best settings, by exemplar set.
 PUBLISHED_SETS = (
     ("House 1", 3.733, 4.000, 3.800, 3.719, 15.252), ("House 2", 4.000, 4.000, 3.911, 3.836, 15.748), ("House 3", 4.000, 3.689, 3.933, 3.869, 15.491),
     ("Mush 1", 3.556, 3.600, 3.511, 4.000, 14.667), ("Mush 2", 1.760, 2.640, 3.920, 3.989, 12.309), ("PDF 1", 4.000, 2.400, 4.000, 3.977, 14.377),
     ("PDF 2", 0.000, 3.040, 3.840, 3.949, 10.829), ("Student 1", 4.000, 3.600, 3.960, 4.000, 15.560), ("Student 2", 3.840, 3.920, 4.000, 3.880, 15.640),
 )
-#: Published confusion counts (metric, human, grader, pairs).
+#: Published confusion counts (metric, human, grader, pairs).
 PUBLISHED_CONFUSION = (
     ("accuracy", 0, 0, 15), ("accuracy", 0, 1, 1), ("accuracy", 1, 0, 1), ("accuracy", 1, 1, 33),
     ("completeness", 0, 0, 18), ("completeness", 0, 1, 0), ("completeness", 0, 2, 0), ("completeness", 1, 0, 0), ("completeness", 1, 1, 17),
     ("completeness", 1, 2, 0), ("completeness", 2, 0, 0), ("completeness", 2, 1, 2), ("completeness", 2, 2, 13),
 )
-#: Categories of the known-truth sets: (metric, category, grade, pairs).
+#: Categories of the known-truth sets: (metric, category, grade, pairs).
 CATEGORIES = (
     ("accuracy", "all values", 1, 16), ("accuracy", "some values", 1, 9), ("accuracy", "approximate values", 1, 9),
     ("accuracy", "value error", 0, 8), ("accuracy", "direction error", 0, 8),

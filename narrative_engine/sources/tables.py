@@ -63,12 +63,13 @@ FROM documents d JOIN labels l ON l.doc_id = d.doc_id
 WITH m AS (
   SELECT d.doc_id, quality, length(text) AS n, size(regexp_extract_all(text, '[^ \\t\\n\\r]+', 0)) AS w, length(text) - length(replace(text, '\n', '')) + 1 AS k,
     length(regexp_replace(text, '[^A-Z]', '', 'g')) AS u, length(regexp_replace(text, '[^0-9]', '', 'g')) AS g, length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')) AS s,
-    length(text) - length(replace(text, '!', '')) AS e, length(regexp_replace(text, '[ \\t\\n\\r]', '', 'g')) AS c
+    length(text) - length(replace(text, '!', '')) AS e, length(regexp_replace(text, '[ \\t\\n\\r]', '', 'g')) AS c,
+    length(regexp_replace(text, '[A-Za-zÀ-ÿ]', '', 'g')) AS x, repeated_lines(text) AS r
   FROM documents d JOIN labels l ON l.doc_id = d.doc_id)
 SELECT CAST(doc_id AS STRING) AS row_id, {_dec("n", "characters")}, {_dec("w", "word_count")}, {_dec("k", "line_count")},
   {_dec("floor(CAST(c AS DOUBLE) / greatest(w, 1) * 1000 + 0.5) / 1000", "word_length")}, {_dec("floor(CAST(u AS DOUBLE) / greatest(n, 1) * 1000 + 0.5) / 1000", "upper_share")},
   {_dec("floor(CAST(g AS DOUBLE) / greatest(n, 1) * 1000 + 0.5) / 1000", "digit_share")}, {_dec("floor(CAST(s AS DOUBLE) / greatest(n, 1) * 1000 + 0.5) / 1000", "symbol_share")},
-  {_dec("e", "exclamations")}, {_dec("1 - quality", "target")}
+  {_dec("e", "exclamations")}, {_dec("floor(CAST(x AS DOUBLE) / greatest(n, 1) * 1000 + 0.5) / 1000", "nonletter_share")}, {_dec("r", "repeated_lines")}, {_dec("1 - quality", "target")}
 FROM m
 """,
     "spend": f"""
@@ -96,7 +97,7 @@ FROM events GROUP BY user_id, CAST(ts AS DATE)
 NUMERIC = {
     "basket": ("line_count", "quantity", "mean_discount", "mean_tax", "parts", "suppliers", "ship_lag", "balance"),
     "toxic": (),
-    "junk": ("characters", "word_count", "line_count", "word_length", "upper_share", "digit_share", "symbol_share", "exclamations"),
+    "junk": ("characters", "word_count", "line_count", "word_length", "upper_share", "digit_share", "symbol_share", "exclamations", "nonletter_share", "repeated_lines"),
     "spend": ("order_count", "active_months", "priorities"),
     "activity": ("clicks", "views", "errors", "signups", "purchases", "distinct_props"),
 }
@@ -110,14 +111,17 @@ CATEGORICAL = {
 
 
 def spark_sql(sql: str) -> str:
-    """The few spellings in which Spark differs."""
+    """The few spellings in which Spark differs; the distinct parts of an order are a set of a few, which costs no expanded rows."""
+    for c in ("l_partkey", "l_suppkey"):
+        sql = sql.replace(f"count(DISTINCT {c})", f"size(collect_set({c}))")
     return (
         sql.replace(", '', 'g')", ", '')").replace("datediff('day', ", "datediff(DAY, ").replace("[^ \\t\\n\\r]", "[^ \\\\t\\\\n\\\\r]").replace("[ \\t\\n\\r]", "[ \\\\t\\\\n\\\\r]")
+        .replace("repeated_lines(text)", "size(split(text, '\\n')) - size(array_distinct(split(text, '\\n')))")
     )
 
 
 def duck_sql(sql: str) -> str:
-    return sql.replace("AS STRING", "AS VARCHAR").replace("size(regexp_extract_all(text, '[^ \\t\\n\\r]+', 0))", "len(regexp_extract_all(text, '[^ \\t\\n\\r]+'))").replace("regexp_like(", "regexp_matches(")
+    return sql.replace("AS STRING", "AS VARCHAR").replace("size(regexp_extract_all(text, '[^ \\t\\n\\r]+', 0))", "len(regexp_extract_all(text, '[^ \\t\\n\\r]+'))").replace("regexp_like(", "regexp_matches(").replace("repeated_lines(text)", "len(string_split(text, chr(10))) - len(list_distinct(string_split(text, chr(10))))")
 
 
 def features(spark: SparkSession, sf_dir: str, domain: str) -> DataFrame:

@@ -66,7 +66,6 @@ def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def guarded_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User days as they close: explanation, narrative, grades and what is shown."""
-    from narrative_engine.fixtures import ZERO_SHOT
     from narrative_engine.operators import attribution as at
     from narrative_engine.operators import explanation as ex
     from narrative_engine.operators import grading as gr
@@ -82,9 +81,7 @@ def guarded_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
         .withColumn("row_id", F.concat(F.col("user_id").cast("string"), F.lit("@"), F.date_format("w.start", "yyyy-MM-dd")))
     )
     rows = ex.top_contributions(at.attribute_additive(days, NUMERIC["activity"], (), card, None)).select("row_id", "expl")
-    lead, clause, up, down, joiner, tail = (F.lit(x) for x in ZERO_SHOT["plain"])
-    one = F.array(F.struct(F.lit(0).alias("ex"), clause.alias("clause"), F.lit(False).alias("omits")))
-    rows = rows.withColumn("text", wr.realized(F.col("expl"), one, lead, up, down, joiner, tail)).withColumn("claims", gr.claims(F.col("text"), F.col("expl")))
+    rows = rows.withColumn("text", wr.zero_shot(F.col("expl"))).withColumn("claims", gr.claims(F.col("text"), F.col("expl")))
     s = gr.conciseness(gr.word_count(F.col("text")), F.size("expl"), F.lit(30.0))
     rows = rows.withColumn("a", gr.accuracy(F.col("claims"))).withColumn("c", gr.completeness(F.col("claims"))).withColumn("total", F.lit(4.0) * F.col("a") + F.lit(2.0) * F.col("c") + s)
     return rows.withColumn("rejected", F.col("total") < 10.5).withColumn("shown", F.when(F.col("rejected"), gr.bar_view(F.col("expl"))).otherwise(F.col("text")))

@@ -5,24 +5,36 @@ import itertools
 import os
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from narrative_engine import registry
+from narrative_engine.fixtures import CLAUSES, STYLE_PARTS
+from narrative_engine.operators import attribution as at
 from narrative_engine.operators import explanation as ex
 from narrative_engine.operators import grading as gr
+from narrative_engine.operators import samples
 from narrative_engine.operators import writing as wr
+from narrative_engine.operators.claims import Reading
 from narrative_engine.plans import experiments as xp
+from narrative_engine.plans.pipeline import NarrativePipeline
 from narrative_engine.settings import PUBLISHED_CONFUSION, SET_ASIDE, TECHNIQUES
+from narrative_engine.staging import release, shared_dir, staged
 
 EXPL = "array<struct<feature:string,value:string,value_num:double,contribution:double>>"
 HOUSE = [("living area", "2090", 2090.0, 16382.07), ("material rating", "5", 5.0, -10203.0)]
 
 
-def judge(spark, expl, text, policy=gr.AccuracyPolicy(), complete=gr.CompletenessPolicy()):
+def read(spark, expl, text, reading=Reading(), means=None):
     df = spark.createDataFrame([(expl, text)], f"expl {EXPL}, text string")
-    found = gr.claims(F.col("text"), F.col("expl"), policy.tolerance)
-    return tuple(df.select(gr.accuracy(found, policy), gr.completeness(found, complete)).first())
+    usual = F.create_map(*[F.lit(v) for kv in means.items() for v in kv]) if means else None
+    return df.select(gr.claims(F.col("text"), F.col("expl"), reading, usual).alias("r"))
+
+
+def judge(spark, expl, text, policy=gr.AccuracyPolicy(), complete=gr.CompletenessPolicy(), reading=None, means=None):
+    rows = read(spark, expl, text, reading or Reading(policy.tolerance), means)
+    return tuple(rows.select(gr.accuracy(F.col("r"), policy), gr.completeness(F.col("r"), complete)).first())
 
 
 def test_conciseness_boundaries(spark):
@@ -60,15 +72,177 @@ def test_alert_for_every_draw_vector(spark):
         assert abs(r["m"] - sum(r["d"]) / 5) < 1e-12
 
 
-@pytest.mark.parametrize("said,ok", [("16,000".replace(",", ""), 1), ("16382.07", 1), ("32764", 0), ("14000", 0)])
+@pytest.mark.parametrize("said,ok", [("16,000", 1), ("$16,000", 1), ("16382.07", 1), ("16,382.07", 1), ("32764", 0), ("14,000", 0), ("160,00", 0)])
 def test_tolerance(spark, said, ok):
-    assert judge(spark, HOUSE, f"The living area of 2090 raises the price by {said}.")[0] == ok
+    assert judge(spark, HOUSE, f"The living area of 2090 raises the price by about {said}.")[0] == ok
+
+
+FLAT = [("size", "1203", 1203.0, 10203.0), ("upper floor", "0", 0.0, -4782.0)]
+
+
+@pytest.mark.parametrize("text", [
+    "Its size of 1,203 feet pushed up the guess by $10,203, and an upper floor of 0 feet took from it $4,782.",
+    "A size of 1203 adds to the guess by around $10,200, while the lack of an upper floor lowers it by some $4,700.",
+])
+def test_precise_and_casual_wordings_are_accurate_and_complete(spark, text):
+    assert judge(spark, FLAT, text) == (1, 2)
+
+
+def test_names_inside_longer_names(spark):
+    rates = [("interest rate", "7", 7.0, -3.0), ("rate", "1", 1.0, 5.0)]
+    assert judge(spark, rates, "An interest rate of 7 lowers the price by 3. A rate of 1 raises it by 5.") == (1, 2)
+    assert judge(spark, rates, "An interest rate of 7 raises the price by 3. A rate of 1 raises it by 5.") == (0, 2)
+    assert judge(spark, rates, "An interest rate of 7 lowers the price by 3.") == (1, 0)
+    assert judge(spark, [("rate", "1", 1.0, 5.0)], "Corporate debt of 9 matters. A rate of 1 raises it.")[0] == 0
+
+
+def test_absence_tells_a_value(spark):
+    support = [("family support", "no", None, -0.4)]
+    assert judge(spark, support, "The lack of family support makes passing less likely.") == (1, 2)
+    assert judge(spark, support, "Without family support, passing is less likely.") == (1, 2)
+    assert judge(spark, support, "Family support (yes) makes passing less likely.")[0] == 0
+    assert judge(spark, [("family support", "yes", None, 0.4)], "No family support makes passing more likely.")[0] == 0
+    assert judge(spark, support, "With little family support, one is more likely to fail.") == (1, 1)
+
+
+def test_invented_features_and_numbers(spark):
+    assert judge(spark, HOUSE, "The garage with 3 doors raised the price by 99999. The living area of 2090 raised it.")[0] == 0
+    assert judge(spark, HOUSE, "The garage raised the price. The living area of 2090 raised it.")[0] == 1
+    assert judge(spark, HOUSE, "The garage raised the price. The living area of 2090 raised it.", reading=Reading(others=("garage",)))[0] == 0
+    assert judge(spark, HOUSE, "The garage with 3 doors raised the price by 99999.", policy=gr.AccuracyPolicy(invented_is_error=False))[0] == 1
+
+
+def test_numbers_belong_to_their_item_of_a_list(spark):
+    marks = [("math", "5", 5.0, 0.1), ("reading", "7", 7.0, 0.2)]
+    assert judge(spark, marks, "The scores of 5 in math and 7 in reading make passing more likely.") == (1, 2)
+    assert judge(spark, marks, "The scores of 7 in math and 5 in reading make passing more likely.")[0] == 0
+    assert judge(spark, marks, "math 5 raises the odds by 0.10, reading 7 raises the odds by 0.20.", complete=gr.CompletenessPolicy(require_contrib=True)) == (1, 2)
+
+
+def test_comparisons_against_usual_values(spark):
+    size = [("metadata size", "120", 120.0, -0.3)]
+    text = "The smaller metadata size makes malice less likely."
+    assert judge(spark, size, text) == (1, 1)
+    assert judge(spark, size, text, means={"metadata size": 200.0})[0] == 1
+    assert judge(spark, size, text, means={"metadata size": 90.0})[0] == 0
+    assert read(spark, size, text).first()["r"]["found"][0]["value_state"] == "comparative"
+    assert judge(spark, size, "The metadata size is larger than usual, which makes malice less likely.", means={"metadata size": 200.0})[0] == 0
+
+
+def test_aliases_and_steps(spark):
+    reading = Reading(aliases={"living area": ("floor space",)})
+    assert judge(spark, HOUSE[:1], "The floor space of 2090 raises the price.", reading=reading) == (1, 2)
+    row = read(spark, HOUSE, "The living area of 2090 raises the price by 16,000.").select(gr.accuracy_steps(F.col("r")).alias("s"), gr.checklist(F.col("r")).alias("k")).first()
+    assert row["s"] == ["living area: value exact, contribution approx, direction right", "material rating: value absent, contribution absent, direction untold"]
+    assert [(k["listed"], k["done"]) for k in row["k"]] == [(True, True), (False, False)]
 
 
 def test_direction_of_two_positive_features(spark):
-    expl = [("odor", "none", None, 0.15), ("gill size", "broad", None, 0.06)]
-    assert judge(spark, expl, "The odor (none) and the gill size (broad) make poison more likely.")[0] == 1
-    assert judge(spark, expl, "The odor (none) and the gill size (broad) make poison less likely.")[0] == 0
+    expl = [("cap", "flat", None, 0.15), ("stalk", "broad", None, 0.06)]
+    assert judge(spark, expl, "The cap (flat) and the stalk (broad) make harm more likely.") == (1, 2)
+    assert judge(spark, expl, "The cap (flat) and the stalk (broad) make harm less likely.")[0] == 0
+    assert judge(spark, expl, "The lack of a cap is odd.", policy=gr.AccuracyPolicy.asked_yes_no())[0] == 1
+
+
+SAMPLE = ("(size, 1203, 10203.00), (upper floor, 0, -4782.00)", "Hello! The size of 1203 increased the guess by $10,203. The upper floor of 0 decreased the guess by $4,782. Bye!")
+
+
+def test_samples_become_exemplars():
+    e = samples.derived("1", *SAMPLE)
+    assert (e.lead, e.joiner, e.tail, e.omits) == ("Hello! ", ". ", ". Bye!", False)
+    assert e.clauses[1] == samples.Clause("The {f} of {v} {d} the guess by ${t}", "increased", "decreased")
+    bare = samples.derived("2", "size, 120, -120", "The model cut its guess: a size of 120 lowered it by 120.")
+    assert (bare.lead, bare.clauses[0].slots, bare.clauses[0].up) == ("The model cut its guess: ", "a {f} of {v} {d} it by {r}", "raised")
+    with pytest.raises(ValueError):
+        samples.derived("3", "size, 120, -120", "Nothing to see.")
+
+
+def test_authored_styles_are_read_as_they_were_written(study):
+    """Narratives of other entries in a style read from one narrative are those its author would write."""
+    hand = study.hand.collect()
+    exemplars = {r["style"]: r["hand"] for r in study.styles.collect()}
+    for style, own in CLAUSES.items():
+        lead, up, down, joiner, tail = STYLE_PARTS[style]
+        assert len(exemplars[style]) == 5 and [e["omits"] for e in exemplars[style]] == [f == "omits" for _, f in own]
+        for e, (slots, _) in zip(exemplars[style], own):
+            assert (e["joiner"], e["tail"]) == (joiner, tail)
+            for k, c in enumerate(e["clauses"]):
+                for phrase, whole in ((c["up"], up), (c["down"], down)):
+                    assert (e["lead"] if k == 0 else "") + c["c"].replace("{d}", phrase) == (lead if k == 0 else "") + slots.replace("{d}", whole), (style, c)
+    assert len(hand) == 45
+
+
+def test_pipeline_from_samples(spark):
+    pipe = NarrativePipeline(2, "The model guesses prices", [SAMPLE])
+    attr = [("size", "900", 900.0, -2500.4), ("upper floor", "3", 3.0, 70.0), ("door", "red", None, 1.0)]
+    df = spark.createDataFrame([("a", attr)], f"row_id string, attr {EXPL}")
+    assert dict(map(tuple, pipe.to_mapping(df).collect())) == {"a": "Hello! The size of 900 decreased the guess by $2,500. The upper floor of 3 increased the guess by $70. Bye!"}
+    graded = pipe.graded(df).first()
+    assert (graded["a"], graded["c"]) == (1, 2) and graded["f"] >= 3
+    prompt = pipe.prompts(df).first()["prompt"]
+    assert SAMPLE[0] in prompt and SAMPLE[1] in prompt and "The model guesses prices" in prompt and "{f}" not in prompt
+    assert pipe.guarded(df, 99.0).first()["shown"].startswith("size")
+
+
+def test_new_application(spark, sf):
+    app = registry._new_application(spark, sf)
+    with pytest.raises(ValueError):
+        app.shown()
+    app.narrated(registry.day_author)
+    assert len(app.pipeline.samples) == 5 and app.shown().where("shown LIKE 'Today%'").count() == app.explained.count()
+
+
+def test_prompts_hold_the_samples(study):
+    row = wr.build_prompt(study.prompts().where("technique = 8")).first()
+    assert len(row["exemplars"]) == 4 and all(e["text"] in row["prompt"] and e["expl_text"] in row["prompt"] for e in row["exemplars"])
+    assert "{f}" not in row["prompt"] and "{v}" not in row["prompt"]
+
+
+def test_other_kinds_of_explanation(spark):
+    df = spark.createDataFrame([("(rain, stay in), (sun, go out)", "If there's RAIN, stay in.")], "e string, text string")
+    kind = ex.EXPLANATION_KINDS["rules"]
+    row = df.select(ex.kind_completeness("rules", kind.parse(F.col("e")), F.col("text")).alias("c"), kind.serialize(kind.parse(F.col("e"))).alias("back")).first()
+    assert (row["c"], row["back"]) == (1, "(rain, stay in), (sun, go out)")
+
+
+def test_more_metrics_and_a_judge_that_errs(study):
+    rows = study.prompts().where("technique = 8")
+    extra = {"short": gr.Metric(lambda df: F.when(F.col("n_words") < 20, 1.0).otherwise(0.0), 2.0)}
+    got = gr.graded(rows, study.refs, metrics=extra, judge=gr.Judge(error=0.2), key=("style", "row_id")).select("a", "c", "f", "s", "short", "total", "alert").collect()
+    assert all(abs(r["total"] - (4 * r["a"] + 2 * r["c"] + r["f"] + r["s"] + 2 * r["short"])) < 1e-9 for r in got) and {r["alert"] for r in got} == {True, False}
+    assert any(0 < r["a"] < 1 for r in got)
+
+
+def test_alignment_counts_chunks(spark):
+    rows = [("1", "the cat sat on the mat", "the cat sat on the mat"), ("2", "on the mat sat the cat", "the cat sat on the mat"), ("3", "x", "y"), ("4", "", "y")]
+    got = {r["id"]: r for r in gr.unigram_alignment(spark.createDataFrame(rows, "id string, text string, reference string")).collect()}
+    assert (got["1"]["n_match"], got["1"]["n_chunks"]) == (6, 1) and abs(got["1"]["score"] - (1 - 0.5 / 216)) < 1e-12
+    assert got["2"]["n_match"] == 6 and got["2"]["n_chunks"] > 2 and got["2"]["score"] < got["1"]["score"] and got["3"]["score"] == got["4"]["score"] == 0.0
+
+
+def test_logistic_and_sums(spark, sf):
+    assert registry.additivity(spark, sf).first()["n_off"] == 0
+    assert registry.logistic(spark, sf).agg(F.sum("n")).first()[0] > 0
+
+
+def test_coalitions_of_a_score_that_is_not_linear(spark):
+    """Exact averages against a direct enumeration of all orders, on three background rows."""
+    score = lambda x: x[:, 0] * x[:, 1] + np.maximum(x[:, 2], 0.0)
+    rows, background = np.array([[1.0, 2.0, -1.0], [0.5, -3.0, 2.0]]), np.array([[0.0, 1.0, 1.0], [2.0, 0.0, -2.0], [1.0, 1.0, 0.0]])
+    df = spark.createDataFrame([(str(k), *map(float, r)) for k, r in enumerate(rows)], "row_id string, a double, b double, c double")
+    got = {r["row_id"]: r["contributions"] for r in at.attribute_coalition(df, ["a", "b", "c"], score, background).collect()}
+    for k, x in enumerate(rows):
+        want = np.zeros(3)
+        for order in itertools.permutations(range(3)):
+            for b in background:
+                now = b.copy()
+                for i in order:
+                    before = score(now[None])[0]
+                    now[i] = x[i]
+                    want[i] += (score(now[None])[0] - before) / 18
+        assert np.allclose(got[str(k)], want)
+    sampled = {r["row_id"]: r["contributions"] for r in at.attribute_sampled(df, ["a", "b", "c"], score, background, m=4000).collect()}
+    assert all(np.allclose(sampled[k], got[k], atol=0.15) for k in got)
 
 
 def test_completeness_levels(spark):
@@ -110,8 +284,12 @@ def study(spark, sf):
     return registry.study(spark, sf)
 
 
-def test_grid_shape_and_counts(spark, sf, study):
-    grid = registry.grid(spark, sf)
+@pytest.fixture(scope="module")
+def grid(study):
+    return staged(study.grid().drop("claims"))
+
+
+def test_grid_shape_and_counts(study, grid):
     assert grid.count() == grid.select("style", "row_id", "technique").distinct().count()
     wrong = study.prompts().where("size(exemplars) <> least(h, size(hand)) + least(b, size(boot))")
     assert wrong.count() == 0 and {t[0] for t in TECHNIQUES} == {r[0] for r in grid.select("technique").distinct().collect()}
@@ -126,15 +304,15 @@ def test_bootstrapped_exemplars_pass_the_gate(study):
     assert study.accepted.where("a < 1 OR c < 2 OR f < 4 OR s < 3.5").count() == 0
 
 
-def test_few_shot_beats_zero_shot_and_costs_correctness(spark, sf):
-    by = {r["technique"]: r for r in xp.technique_scores(registry.grid(spark, sf)).collect()}
+def test_few_shot_beats_zero_shot_and_costs_correctness(grid):
+    by = {r["technique"]: r for r in xp.technique_scores(grid).collect()}
     assert by[8]["total"] > by[1]["total"] and by[8]["fluency"] > by[1]["fluency"] and by[8]["conciseness"] > by[1]["conciseness"]
     assert by[6]["accuracy"] < by[1]["accuracy"] and by[6]["completeness"] < by[1]["completeness"]
     assert by[8]["accuracy"] + by[8]["completeness"] >= by[4]["accuracy"] + by[4]["completeness"]
 
 
-def test_guard_shows_nothing_under_the_threshold(spark, sf):
-    rows = gr.guarded(registry.grid(spark, sf), 14.0)
+def test_guard_shows_nothing_under_the_threshold(grid):
+    rows = gr.guarded(grid, 14.0)
     assert rows.where("NOT rejected AND total < 14").count() == 0
     assert rows.where(F.col("rejected") & (F.col("shown") == F.col("text"))).count() == 0
 
@@ -154,6 +332,52 @@ def test_replay_and_backend(spark, study):
     assert wr.replayed(rows, cache).where("text IS NULL").count() == 0
 
 
+def test_bootstrapped_exemplars_are_new(study):
+    hand = study.hand.select("style", "row_id", "text")
+    pool = study.pool()
+    assert pool.join(hand, ["style", "row_id"]).count() == 0 and pool.select("style", "one.text").distinct().count() == pool.count()
+    short = {r["style"]: r for r in study.short_styles().collect()}
+    assert all(r["reached"] == (r["in_pool"] == 5) and r["in_pool"] <= r["accepted"] <= r["candidates"] for r in short.values())
+
+
+def test_staged_tables_can_go(spark):
+    df = staged(spark.range(5))
+    folder = df.inputFiles()[0].split("file:")[-1].rsplit("/", 1)[0]
+    folder = "/" + folder.lstrip("/")
+    assert os.path.isdir(folder) and shared_dir(spark).split(":")[-1].rstrip("/").lstrip("/") in folder
+    release(df)
+    assert not os.path.isdir(folder)
+
+
+def test_remote_backend(tmp_path):
+    import http.server
+    import json
+    import threading
+
+    calls = []
+
+    class Model(http.server.BaseHTTPRequestHandler):
+        def do_POST(self):
+            got = json.loads(self.rfile.read(int(self.headers["Content-Length"])))["prompts"]
+            calls.append(len(got))
+            if len(calls) == 1:
+                return self.send_error(503)
+            body = json.dumps({"texts": [p.upper() for p in got]}).encode()
+            self.send_response(200)
+            self.send_header("Content-Length", str(len(body)))
+            self.end_headers()
+            self.wfile.write(body)
+
+        def log_message(self, *_):
+            pass
+
+    server = http.server.HTTPServer(("127.0.0.1", 0), Model)
+    threading.Thread(target=server.serve_forever, daemon=True).start()
+    backend = wr.RemoteBackend(f"http://127.0.0.1:{server.server_port}", batch=2, pause=0.01)
+    assert backend.complete(["a", "b", "c"]) == ["A", "B", "C"] and calls == [2, 2, 1]
+    server.shutdown()
+
+
 def test_budget_guard(spark, sf, study):
     costs = xp.prompt_costs(study.prompts())
     assert xp.BudgetGuard(1000.0).check(costs) > 0
@@ -184,7 +408,4 @@ def test_matches_sql(spark, sf, name, tmp_path):
     con.sql(f"create view s_ as select * from '{tmp_path}/q/*.parquet'")
     con.sql(f"create table o_ as {registry.oracles()[name]}")
     cols = ", ".join(f'"{c}"' for c in df.columns)
-    if name in ("validate_accuracy", "validate_completeness", "agg_stats"):
-        assert df.count() > 0
-        return
     assert con.sql(f"(select {cols} from s_ except all select {cols} from o_) union all (select {cols} from o_ except all select {cols} from s_)").fetchall() == []
