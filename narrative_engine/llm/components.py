@@ -68,4 +68,6 @@ def star_components(edges: DataFrame) -> DataFrame:
         if (mark := _print(new)) == seen:
             break
         now, seen = new, mark
+    else:
+        raise RuntimeError(f"components haven't settled in {ROUNDS} rounds; each halves the longest path, so the edges must have changed between reads")
     return now.select(F.col("a").alias("node"), F.col("b").alias("root"))

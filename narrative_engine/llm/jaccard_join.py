@@ -16,9 +16,11 @@
    of different components that their sizes and places allow are compared.
 4. Links become components.
 
-Defined results: null and blank texts have an empty set and link with nothing; a null doc_id gets
-a null component; rows that share a doc_id count as one document for linking; an empty table gives
-no rows.
+Defined results: null and blank texts have an empty set and link with nothing.  Every row has the
+size of its own text's set.  Rows that share a doc_id are one document, so its component holds
+whatever any of its texts links with; a text without a doc_id links like any other, and its
+component is the smallest doc_id in reach, null if there is none.  Repeated rows give equal rows; an
+empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -244,40 +246,99 @@ def links(live: DataFrame, items: DataFrame, num: int, den: int, rounds: int = R
     return found, root
 
 
-def joined(docs: DataFrame, size: int = SIZE, num: int = NUM, den: int = DEN) -> DataFrame:
-    """doc_id, n_shingles, component_id (the smallest reachable doc_id) and n_links of each document.
+def identified(docs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame, bool]:
+    """``kept`` (doc_id, same), ``nodes`` (same, rep, copies, x) with a row per different text, its texts (doc_id = x, text), and whether
+    doc_ids fall short of naming the texts.
 
-    ``n_links`` counts the verified links that the component was built from.
+    ``x`` names a text: its smallest doc_id, or a number beyond all doc_ids where that is null or
+    names several texts.  The numbers are written with the table, so they are the same wherever it is read.
     """
-    ship(docs.sparkSession)
     texts = docs.select(F.col("doc_id").cast("long"), "text")
-    kept = staged(texts.select("doc_id", F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))).alias("same")))
+    same = F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+    kept = staged(texts.select("doc_id", same.alias("same")))
     first = staged(kept.groupBy("same").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")))
-    copies = staged(kept.join(first.where("copies > 1"), "same").where("doc_id <> rep").select(F.col("doc_id").alias("id")))
-    reps = by_ids(texts, copies, "left_anti")
+    clash = staged(first.groupBy("rep").agg(F.count("*").alias("n")).where("n > 1 OR rep IS NULL").select("rep"))
+    if clash.isEmpty():
+        nodes = first.withColumn("x", F.col("rep"))
+        copies = staged(kept.join(first.where("copies > 1"), "same").where("doc_id <> rep").select(F.col("doc_id").alias("id")))
+        return kept, nodes, by_ids(texts, copies, "left_anti"), False
+    most = kept.agg(F.coalesce(F.max("doc_id"), F.lit(0))).first()[0]
+    odd = first.join(clash.select(F.col("rep").alias("r")), F.col("rep").eqNullSafe(F.col("r"))).select("same", F.col("rep").alias("_r"), (F.lit(most + 1) + F.monotonically_increasing_id()).alias("_x"))
+    odd = staged(odd)
+    nodes = first.join(odd.select("same", "_x"), "same", "left").select("same", "rep", "copies", F.coalesce("_x", "rep").alias("x"))
+    copies = kept.join(first.where("copies > 1"), "same").where("doc_id <> rep").select(F.col("doc_id").alias("id"))
+    gone = staged(copies.unionByName(clash.where("rep IS NOT NULL").select(F.col("rep").alias("id"))).distinct())
+    plain = by_ids(texts.where("doc_id IS NOT NULL"), gone, "left_anti")
+    rest = by_ids(texts, clash.where("rep IS NOT NULL").select(F.col("rep").alias("id")), "left_semi").unionByName(texts.where("doc_id IS NULL"))
+    rest = rest.withColumn("same", same).join(odd, "same").where(F.col("doc_id").eqNullSafe(F.col("_r")))
+    rest = rest.dropDuplicates(["same"]).select(F.col("_x").alias("doc_id"), "text")
+    return kept, nodes, plain.unionByName(rest), True
+
+
+def joined(docs: DataFrame, size: int = SIZE, num: int = NUM, den: int = DEN) -> DataFrame:
+    """doc_id, same, n_shingles, component_id (the smallest reachable doc_id), n_links and stays of each row.
+
+    ``n_links`` counts the verified links that the component was built from; ``same`` is a hash of
+    the text, and ``stays`` is true for the texts that stand for their group of linked texts: the
+    one with the smallest doc_id (and hash).
+    """
+    ship(docs.sparkSession)
+    kept, nodes, reps, several = identified(docs)
     marked = staged(keyed(reps, size, num, den))
 
-    cells = marked.where("doc_id IS NOT NULL").select(F.explode("keys").alias("key"), F.col("doc_id").alias("x"))
+    cells = marked.select(F.explode("keys").alias("key"), F.col("doc_id").alias("x"))
     full = staged(cells.groupBy("key").agg(F.min("x").alias("lo"), F.max("x").alias("hi")).where("lo <> hi").select("key"))
     live = staged(cells.join(full, "key", "left_semi").distinct())  # the rows of a key are split where it is hot
     asked = staged(live.select(F.col("x").alias("id")).distinct())
-    items = staged(set_bytes(by_ids(texts, asked, "left_semi"), size).groupBy("id").agg(F.first("items").alias("items")))
+    items = staged(set_bytes(by_ids(reps, asked, "left_semi"), size).groupBy("id").agg(F.first("items").alias("items")))
     found, root = links(live, items, num, den)
     ends = found.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
 
-    by_rep = marked.select(F.col("doc_id").alias("rep"), "n").groupBy("rep").agg(F.first("n").alias("n_shingles"))
-    by_rep = by_rep.join(root, F.col("rep") == F.col("node"), "left").join(ends, F.col("rep") == F.col("id"), "left")
-    by_rep = by_rep.select("rep", "n_shingles", F.coalesce("root", "rep").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    whole = kept.join(first.select("same", "rep"), "same").join(staged(by_rep), "rep", "left")
+    by_x = marked.select(F.col("doc_id").alias("x"), "n").groupBy("x").agg(F.first("n").alias("n_shingles"))
+    by_x = by_x.join(root, F.col("x") == F.col("node"), "left").join(ends, F.col("x") == F.col("id"), "left")
+    by_x = by_x.select("x", "n_shingles", F.coalesce("root", "x").alias("root"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    if not several:  # a text's name is its smallest doc_id
+        by_x = by_x.select("x", "n_shingles", "n_links", F.col("root").alias("component_id"), (F.col("root") == F.col("x")).alias("leads"))
+    else:
+        by_x = staged(by_x)
+        of = staged(nodes.join(by_x.select("x", "root"), "x").select("same", "rep", "x", "root"))
+        leader = of.groupBy("root").agg(F.min(F.struct(F.col("rep").isNull(), "rep", "same", "x")).getField("x").alias("lead"))
+        # a doc_id with several texts joins their groups
+        full_ids = kept.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("same").alias("one"), F.max("same").alias("two")).where("one <> two").select("doc_id")
+        ties = kept.join(full_ids, "doc_id").join(of.select("same", "root"), "same").join(by_x.where("n_shingles > 0").select(F.col("x").alias("root")), "root", "left_semi")
+        low = ties.groupBy("doc_id").agg(F.min("root").alias("a"))
+        ties = staged(ties.join(low, "doc_id").select("a", F.col("root").alias("b")).where("a <> b").distinct())
+        tied = components(ties).select(F.col("node").alias("root"), F.col("root").alias("top"))
+        whole = of.join(tied, "root", "left").withColumn("top", F.coalesce("top", "root"))
+        # the doc_ids of all copies, not only the smallest of each text
+        least = whole.groupBy("top").agg(F.min("rep").alias("component_id"))
+        by_root = whole.select("root", "top").distinct().join(least, "top").join(leader, "root").select("root", "component_id", "lead")
+        by_x = by_x.join(by_root, "root").select("x", "n_shingles", "n_links", "component_id", (F.col("lead") == F.col("x")).alias("leads"))
+    rows = kept.join(nodes.select("same", "rep", "x"), "same").join(staged(by_x), "x", "left")
     alone = F.col("n_shingles") == 0
-    return whole.select(
-        "doc_id", F.coalesce("n_shingles", F.lit(0)).cast("long").alias("n_shingles"),
-        F.when(alone | F.col("component_id").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "n_links",
+    return rows.select(
+        "doc_id", "same", F.col("n_shingles").cast("long").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "n_links",
+        (alone | (F.col("leads") & F.col("doc_id").eqNullSafe(F.col("rep")))).alias("stays"),
     )
 
 
+def representatives(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that stand for their group; a text without words is a group of its own, and so is each row of it."""
+    groups = staged(joined(docs))
+    same = F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+    lost = staged(groups.where("NOT stays").select(F.col("doc_id").alias("_id"), F.col("same").alias("_same")).distinct())
+    lost = F.broadcast(lost) if lost.count() <= BROADCAST_IDS else lost
+    left = docs.join(lost, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (same == F.col("_same")), "left_anti")
+    twice = staged(groups.where("stays AND n_shingles > 0").groupBy("doc_id", "same").count().where("count > 1").select(F.col("doc_id").alias("_id"), F.col("same").alias("_same")))
+    if twice.isEmpty():
+        return left
+    twice = F.broadcast(twice) if twice.count() <= BROADCAST_IDS else twice
+    repeated = F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (same == F.col("_same"))
+    return left.join(twice, repeated, "left_anti").unionByName(left.join(twice, repeated, "left_semi").dropDuplicates(["doc_id", "text"]))
+
+
 def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return joined(table(spark, sf_dir, "documents")).drop("n_links")
+    return joined(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
 ORACLE = r"""

@@ -79,7 +79,9 @@ def brute_hits(text, items):
     return len(w), len(hit), len(found), hashlib.sha256(ids.encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(w)
 
 
-def test_decontamination_matches_brute_force(spark, make_docs):
+@pytest.mark.parametrize("broadcast", [200_000, 0])
+def test_decontamination_matches_brute_force(spark, make_docs, monkeypatch, broadcast):
+    monkeypatch.setattr(decontamination, "BROADCAST_WINDOWS", broadcast)
     long, short = words(30, 3), "just three WORDS"
     items = [(1, long), (2, short), (30, words(15, 4)), (4, None), (5, "..."), (6, long)]
     texts = [long, "x, " + long.upper() + "!", " ".join(long.split()[:12]), " ".join(long.split()[5:20]), "He said Just-three words. " * 3, "", None, words(60, 5) + " " + words(15, 4), "ÄB " + short]
@@ -130,6 +132,51 @@ def test_jaccard_join_matches_brute_force(make_docs):
     assert sorted(rows_of(jaccard_join.joined(make_docs(rows)), "doc_id", "n_shingles", "component_id")) == brute_join(rows)
 
 
+def brute_rows(rows):
+    """(doc_id, size, component) of each row: rows of one doc_id are one document, rows without one are documents of their own."""
+    def shingles(t):
+        w = SOFT.findall("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+        return {tuple(w[i : i + 4]) for i in range(len(w) - 3)} if len(w) >= 4 else ({tuple(w)} if w else set())
+
+    s, up = [shingles(t) for _, t in rows], list(range(len(rows)))
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a, b in itertools.combinations(range(len(rows)), 2):
+        if s[a] and s[b] and (rows[a][0] is not None and rows[a][0] == rows[b][0] or 100 * len(s[a] & s[b]) >= 85 * len(s[a] | s[b])):
+            up[root(a)] = root(b)
+    least = {}
+    for k, (i, _) in enumerate(rows):
+        if i is not None and s[k]:
+            least[root(k)] = min(i, least.get(root(k), i))
+    return sorted(map(str, [(i, len(s[k]), i if not s[k] else least.get(root(k))) for k, (i, _) in enumerate(rows)]))
+
+
+def odd_groups():
+    a, b, c, d = (words(40, 900 + k).split() for k in range(4))
+    near = lambda w, k: " ".join([*w[:k], "edit", *w[k + 1 :]])
+    a, b, c, d = map(" ".join, (a, b, c, d))
+    return [
+        (7, a), (7, b), (3, near(a.split(), 0)), (9, near(b.split(), 0)), (None, a), (None, c), (None, c), (None, near(c.split(), 39)), (None, None), (12, None), (12, d), (11, ""), (4, d),
+        (5, "x y z"), (5, "x y z"), (6, "X y z"), (20, words(30, 950)), (20, words(30, 951)), (21, words(30, 951)), (None, words(30, 952)), (22, words(30, 952)),
+    ]
+
+
+def test_jaccard_join_with_null_and_repeated_ids(make_docs):
+    rows = odd_groups()
+    got = rows_of(jaccard_join.joined(make_docs(rows)), "doc_id", "n_shingles", "component_id")
+    assert sorted(map(str, got)) == brute_rows(rows)
+    kept = rows_of(jaccard_join.representatives(make_docs(rows)), "doc_id", "text")
+    sets = lambda t: brute_rows([(1, t)])
+    assert len([1 for _, t in rows if not SOFT.findall(t or "")]) == len([1 for _, t in kept if not SOFT.findall(t or "")])
+    full = [(i, t) for i, t in kept if SOFT.findall(t or "")]
+    # one row of each group of linked texts, none of the others lost: texts of one doc_id that aren't alike both stay
+    assert len(full) == 8 and sets and {i for i, _ in full} == {3, 7, 4, 5, 20, 22, None} and sum(i == 20 for i, _ in full) == 2
+
+
 def test_jaccard_rounds_and_fallback_agree(make_docs, monkeypatch):
     rng, rows, base = random.Random(5), [], words(60, 9).split()
     for i in range(60):  # a chain of near copies, so that one pivot can't reach all
@@ -471,6 +518,15 @@ def test_main_text(open_, close):
     assert html_extraction.main_text(PAGE.format(open=open_, close=close)) == MAIN
 
 
+def test_article_text_with_telling_names_stays():
+    inside = '<figure><figcaption>Caption</figcaption></figure><div class="legal-text">Law</div><div class="long-form">Long</div><p class="alert">Beware</p><div class="share">Tweet</div><div class="ad">Buy</div>'
+    assert html_extraction.main_text(f"<body><article><h1>T</h1>{inside}<p>End</p></article></body>") == "T\nCaption\nLaw\nLong\nBeware\nEnd"
+    story = words(40, 3)
+    assert html_extraction.main_text(f'<body><article><p>Teaser</p></article><div id="story"><p>{story}</p></div></body>') == story
+    long = "<p>" + "<b>" * 3000 + "deep" + "</b>" * 3000 + "</p>" + "<p>" + "x" * (1 << 20) + "</p>"
+    assert html_extraction.main_text(f"<main>{long}</main>") == "deep\n" + "x" * (1 << 20)
+
+
 def test_wrapper_inference(spark):
     page = lambda k: f"<html><body><div class=top>Example site</div><div><h1>Story {k}</h1><p>{words(9, k)}</p><p>{words(7, k + 50)}</p>{'<p>extra ' + str(k) + '</p>' if k % 2 else ''}</div><div class=end>All texts are free</div></body></html>"
     rows = [(k, f"http://Host.example/{k}", page(k)) for k in range(5)] + [(8, None, None), (9, "x", ""), (10, "http://host.example/q", "<p>open <b>never closed")]
