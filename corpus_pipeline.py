@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from narrative_engine.llm.common import staged, table
 from narrative_engine.llm.decontamination import contamination
-from narrative_engine.llm.jaccard_join import by_ids, joined
+from narrative_engine.llm.jaccard_join import representatives
 from narrative_engine.llm.line_dedup import deduped
 from narrative_engine.llm.packing import packed
 from narrative_engine.llm.quality_rules import ledger, passing
@@ -34,12 +34,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each component."""
-    groups = staged(joined(docs))
-    others = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("id")).distinct()
-    left = by_ids(docs, others, "left_anti")
-    twice = groups.groupBy("doc_id").count().where("count > 1 AND doc_id IS NOT NULL")
-    return left if twice.isEmpty() else left.where("doc_id IS NULL").unionByName(left.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"]))
+    """One row of each group of linked texts: the smallest doc_id (and text hash); equal rows count as one."""
+    return representatives(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
