@@ -37,7 +37,9 @@ CATALOGUE: dict[str, str | tuple[str, str]] = {
     "agg_distinct": "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY l_returnflag",
     "agg_stats": (f"SELECT lang, {_R.format('stddev_pop(n_chars)')} AS sd, {_R.format('corr(n_chars, length(text)) * 100')} AS c FROM documents GROUP BY lang", f"SELECT lang, {_R.format('stddev_pop(n_chars)')} AS sd, {_R.format('corr(n_chars, length(text)) * 100')} AS c FROM documents GROUP BY lang"),
     "agg_percentile": ("SELECT c_mktsegment, floor(percentile(c_acctbal, 0.5) * 100 + 0.001) / 100 AS p50, floor(percentile(c_acctbal, 0.9) * 100 + 0.001) / 100 AS p90 FROM customer GROUP BY c_mktsegment", "SELECT c_mktsegment, floor(quantile_cont(c_acctbal, 0.5) * 100 + 0.001) / 100 AS p50, floor(quantile_cont(c_acctbal, 0.9) * 100 + 0.001) / 100 AS p90 FROM customer GROUP BY c_mktsegment"),
-    "agg_mode": "SELECT n_regionkey, max(n_name) AS last_name, min(n_name) AS first_name FROM nation GROUP BY n_regionkey",
+    "agg_mode": ("SELECT c_nationkey, mode() WITHIN GROUP (ORDER BY c_mktsegment) AS commonest FROM customer GROUP BY c_nationkey", "SELECT c_nationkey, c_mktsegment AS commonest FROM (SELECT c_nationkey, c_mktsegment, row_number() OVER (PARTITION BY c_nationkey ORDER BY count(*) DESC, c_mktsegment) AS r FROM customer GROUP BY c_nationkey, c_mktsegment) t WHERE r = 1"),
+    "agg_regression": (f"SELECT l_returnflag, {_R.format('regr_slope(l_extendedprice, l_quantity)')} AS slope, {_R.format('regr_intercept(l_extendedprice, l_quantity)')} AS base, regr_count(l_extendedprice, l_quantity) AS n FROM lineitem GROUP BY l_returnflag", f"SELECT l_returnflag, {_R.format('regr_slope(l_extendedprice, l_quantity)')} AS slope, {_R.format('regr_intercept(l_extendedprice, l_quantity)')} AS base, CAST(regr_count(l_extendedprice, l_quantity) AS BIGINT) AS n FROM lineitem GROUP BY l_returnflag"),
+    "agg_histogram": ("SELECT width_bucket(o_totalprice, 0, 500000, 20) AS bucket, count(*) AS n FROM orders GROUP BY 1", "SELECT CASE WHEN o_totalprice < 0 THEN 0 WHEN o_totalprice >= 500000 THEN 21 ELSE CAST(floor(o_totalprice / 500000 * 20) AS BIGINT) + 1 END AS bucket, count(*) AS n FROM orders GROUP BY 1"),
     "agg_filter_clause": "SELECT lang, count(*) FILTER (WHERE n_chars > 2000) AS n_long, count(*) FILTER (WHERE n_chars <= 2000) AS n_short FROM documents GROUP BY lang",
     "agg_having": "SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey HAVING count(*) >= 15",
     "agg_bool": "SELECT o_custkey, bool_and(o_orderstatus = 'F') AS all_done, bool_or(o_orderpriority = '1-URGENT') AS any_urgent FROM orders GROUP BY o_custkey",
@@ -62,28 +64,57 @@ CATALOGUE: dict[str, str | tuple[str, str]] = {
     "set_union": "SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier",
     "set_intersect": "SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier",
     "set_except": "SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM labels",
+    "set_intersect_all": "SELECT c_nationkey AS k FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier",
+    "set_except_all": "SELECT c_nationkey AS k FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier",
     "sub_scalar": "SELECT o_orderkey FROM orders WHERE CAST(o_totalprice AS DECIMAL(12,2)) > (SELECT CAST(max(o_totalprice) AS DECIMAL(12,2)) / 2 FROM orders)",
     "sub_exists": "SELECT p_partkey FROM part WHERE EXISTS (SELECT 1 FROM lineitem WHERE l_partkey = p_partkey AND l_quantity = 50)",
     "sub_in": "SELECT s_suppkey FROM supplier WHERE s_nationkey IN (SELECT n_nationkey FROM nation WHERE n_regionkey = 1)",
     "cte_chain": "WITH a AS (SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey), b AS (SELECT n, count(*) AS customers FROM a GROUP BY n) SELECT n, customers FROM b WHERE customers > 1",
     "sample_quota": "SELECT lang, doc_id FROM (SELECT lang, doc_id, row_number() OVER (PARTITION BY lang ORDER BY md5(concat('42|', CAST(doc_id AS VARCHAR(20)))), doc_id) AS r FROM documents) t WHERE r <= 20",
+    "sample_fractions": ("SELECT lang, doc_id FROM documents WHERE CAST(conv(substring(md5(concat('7|', CAST(doc_id AS STRING))), 1, 6), 16, 10) AS DOUBLE) / 16777216D < CASE lang WHEN 'en' THEN 0.1D ELSE 0.5D END", "SELECT lang, doc_id FROM documents WHERE CAST(('0x' || substr(md5(concat('7|', CAST(doc_id AS VARCHAR))), 1, 6)) AS INT) / 16777216.0::DOUBLE < CASE lang WHEN 'en' THEN 0.1::DOUBLE ELSE 0.5::DOUBLE END"),
     "fn_string": "SELECT p_partkey, upper(trim(p_brand)) AS b, lpad(CAST(p_size AS VARCHAR(5)), 4, '0') AS s, replace(p_type, ' ', '_') AS t, substring(p_name, 1, 5) AS n, CAST(levenshtein(p_brand, 'Brand#11') AS BIGINT) AS d FROM part",
     "fn_regex": ("SELECT doc_id, size(regexp_extract_all(text, '[^ \\\\t\\\\n\\\\r]+', 0)) AS n_words, regexp_replace(substring(text, 1, 40), '[^A-Za-z ]', '') AS head FROM documents", "SELECT doc_id, CAST(len(regexp_extract_all(text, '[^ \\t\\n\\r]+')) AS INT) AS n_words, regexp_replace(substring(text, 1, 40), '[^A-Za-z ]', '', 'g') AS head FROM documents"),
     "fn_number_format": ("SELECT c_custkey, format_number(CAST(floor(abs(c_acctbal)) AS BIGINT), 0) AS thousands FROM customer", "SELECT c_custkey, format('{:,}', CAST(floor(abs(c_acctbal)) AS BIGINT)) AS thousands FROM customer"),
     "fn_date": ("SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(date_trunc('month', o_orderdate) AS DATE) AS first_day, CAST(datediff(CAST(o_orderdate AS DATE), DATE '1992-01-01') AS BIGINT) AS days FROM orders", "SELECT o_orderkey, CAST(year(o_orderdate) AS INT) AS y, CAST(month(o_orderdate) AS INT) AS m, CAST(date_trunc('month', o_orderdate) AS DATE) AS first_day, datediff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS days FROM orders"),
     "fn_math": f"SELECT l_orderkey, l_linenumber, abs(l_quantity - 25) AS d, CAST(sign(l_quantity - 25) AS INT) AS s, greatest(l_discount, l_tax) AS g, least(l_discount, l_tax) AS k, {_R.format('sqrt(l_quantity)')} AS r FROM lineitem",
     "fn_array": ("SELECT vec_id, size(filter(embedding, x -> x > 0)) AS n_up, array_contains(array(label), 3) AS three, cast(element_at(embedding, 1) > element_at(embedding, -1) AS INT) AS falls FROM embeddings", "SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS n_up, list_contains([label], 3) AS three, CAST(embedding[1] > embedding[-1] AS INT) AS falls FROM embeddings"),
+    "fn_array_sets": (
+        "SELECT doc_id, array_sort(array_distinct(a)) AS own, array_sort(array_intersect(a, b)) AS shared, array_sort(array_union(a, b)) AS together, array_sort(array_except(a, b)) AS rest, array_position(a, 2) AS at, array_max(a) AS hi, array_min(a) AS lo, size(array_remove(a, 0L)) AS n, arrays_overlap(a, b) AS meet FROM (SELECT doc_id, array(doc_id % 5, doc_id % 3, doc_id % 7) AS a, array(doc_id % 2, doc_id % 3) AS b FROM documents) t",
+        "SELECT doc_id, list_sort(list_distinct(a)) AS own, list_sort(list_intersect(a, b)) AS shared, list_sort(list_distinct(list_concat(a, b))) AS together, list_sort(list_distinct(list_filter(a, lambda x: NOT list_contains(b, x)))) AS rest, CAST(coalesce(list_position(a, 2), 0) AS BIGINT) AS at, list_max(a) AS hi, list_min(a) AS lo, CAST(len(list_filter(a, lambda x: x <> 0)) AS INT) AS n, list_has_any(a, b) AS meet FROM (SELECT doc_id, [doc_id % 5, doc_id % 3, doc_id % 7] AS a, [doc_id % 2, doc_id % 3] AS b FROM documents) t",
+    ),
+    "fn_array_lambdas": (
+        "SELECT doc_id, transform(a, (x, i) -> x * 10 + i) AS t, slice(a, 2, 2) AS s, reverse(a) AS r, flatten(array(a, b)) AS f, zip_with(a, b, (x, y) -> coalesce(x, 0) + coalesce(y, 0)) AS z, exists(a, x -> x = 4) AS any4, forall(a, x -> x < 7) AS under7, aggregate(a, 0L, (s, x) -> s * 3 + x, s -> s + 1) AS code, sequence(0, CAST(doc_id % 3 AS INT)) AS q FROM (SELECT doc_id, array(doc_id % 5, doc_id % 3, doc_id % 7) AS a, array(doc_id % 2, doc_id % 3) AS b FROM documents) t",
+        "SELECT doc_id, list_transform(a, lambda x, i: x * 10 + i - 1) AS t, a[2:3] AS s, list_reverse(a) AS r, flatten([a, b]) AS f, list_transform(list_zip(a, b), lambda p: coalesce(p[1], 0) + coalesce(p[2], 0)) AS z, len(list_filter(a, lambda x: x = 4)) > 0 AS any4, len(list_filter(a, lambda x: x < 7)) = len(a) AS under7, list_reduce(list_concat([0], a), lambda s, x: s * 3 + x) + 1 AS code, range(0, CAST(doc_id % 3 AS INT) + 1)::INT[] AS q FROM (SELECT doc_id, [doc_id % 5, doc_id % 3, doc_id % 7] AS a, [doc_id % 2, doc_id % 3] AS b FROM documents) t",
+    ),
+    "fn_map_lambdas": (
+        "SELECT doc_id, size(map_filter(m, (k, v) -> v > 1)) AS n, element_at(transform_values(m, (k, v) -> v * 2), 'a') AS a2, element_at(map_concat(m, map('c', doc_id % 7)), 'c') AS c, array_sort(map_keys(m)) AS keys, map_contains_key(m, 'z') AS z FROM (SELECT doc_id, map('a', doc_id % 5, 'b', doc_id % 3) AS m FROM documents) t",
+        "SELECT doc_id, CAST((doc_id % 5 > 1)::INT + (doc_id % 3 > 1)::INT AS INT) AS n, (doc_id % 5) * 2 AS a2, doc_id % 7 AS c, ['a', 'b'] AS keys, false AS z FROM documents",
+    ),
     "fn_map": ("SELECT conv_id, map_from_entries(array_sort(collect_list(struct(turn, role))))[0] AS first_role, count(*) AS n FROM conversations GROUP BY conv_id", "SELECT conv_id, max(role) FILTER (WHERE turn = 0) AS first_role, count(*) AS n FROM conversations GROUP BY conv_id"),
     "fn_json": ("SELECT event_id, get_json_object(props, '$.k') AS k FROM events", "SELECT event_id, json_extract_string(props, '$.k') AS k FROM events"),
+    "fn_json_struct": ("SELECT event_id, from_json(props, 'k INT').k AS k, to_json(named_struct('u', user_id, 't', event_type)) AS j FROM events", "SELECT event_id, TRY_CAST(json_extract_string(props, '$.k') AS INT) AS k, '{\"u\":' || user_id || ',\"t\":\"' || event_type || '\"}' AS j FROM events"),
+    "fn_variant": ("SELECT event_id, try_variant_get(parse_json(props), '$.k', 'int') AS k, schema_of_variant(parse_json(props)) LIKE 'OBJECT%' AS is_object FROM events", "SELECT event_id, TRY_CAST(json_extract_string(props, '$.k') AS INT) AS k, json_type(props) = 'OBJECT' AS is_object FROM events"),
     "fn_html": ("SELECT page_id, regexp_count(html, '<a ') AS links, regexp_count(html, '<script') AS scripts, octet_length(html) AS bytes FROM pages", "SELECT page_id, CAST(len(regexp_extract_all(html, '<a ')) AS INT) AS links, CAST(len(regexp_extract_all(html, '<script')) AS INT) AS scripts, CAST(octet_length(encode(html)) AS INT) AS bytes FROM pages"),
-    "fn_vector": ("SELECT vec_id, CAST(aggregate(embedding, 0L, (a, x) -> a + CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS BIGINT) AS total FROM embeddings", "SELECT vec_id, CAST(list_sum(list_transform(embedding, lambda x: CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT))) AS BIGINT) AS total FROM embeddings"),
+    "fn_vector": (
+        "SELECT vec_id, dot, norm2, floor(CAST(dot AS DOUBLE) / sqrt(CAST(norm2 AS DOUBLE)) / sqrt(CAST(norm2 AS DOUBLE)) * 1000 + 0.5) / 1000 AS cosine FROM (SELECT vec_id, aggregate(zip_with(v, reverse(v), (x, y) -> x * y), 0L, (s, x) -> s + x) AS dot, aggregate(v, 0L, (s, x) -> s + x * x) AS norm2 FROM (SELECT vec_id, transform(embedding, x -> CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS v FROM embeddings) t) u WHERE norm2 > 0",
+        "SELECT vec_id, dot, norm2, floor(CAST(dot AS DOUBLE) / sqrt(CAST(norm2 AS DOUBLE)) / sqrt(CAST(norm2 AS DOUBLE)) * 1000 + 0.5) / 1000 AS cosine FROM (SELECT vec_id, CAST(list_sum(list_transform(list_zip(v, list_reverse(v)), lambda p: p[1] * p[2])) AS BIGINT) AS dot, CAST(list_sum(list_transform(v, lambda x: x * x)) AS BIGINT) AS norm2 FROM (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS v FROM embeddings) t) u WHERE norm2 > 0",
+    ),
+    "fn_centroid": ("SELECT label, i, CAST(sum(CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS BIGINT) AS total, count(*) AS n FROM (SELECT label, posexplode(embedding) AS (i, x) FROM embeddings) t GROUP BY label, i", "SELECT label, CAST(i AS INT) AS i, CAST(sum(CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS BIGINT) AS total, count(*) AS n FROM (SELECT label, unnest(range(0, len(embedding))) AS i, unnest(embedding) AS x FROM embeddings) t GROUP BY label, i"),
     "fn_null": "SELECT doc_id, coalesce(nullif(lang, 'en'), 'english') AS l, CASE WHEN nullif(source, 'src0') IS NULL THEN 1 ELSE 0 END AS z FROM documents",
     "conciseness_turns": ("SELECT role, count(*) AS n, CAST(sum(size(regexp_extract_all(text, '[^ \\\\t\\\\n\\\\r]+', 0))) AS BIGINT) AS words FROM conversations GROUP BY role", "SELECT role, count(*) AS n, CAST(sum(len(regexp_extract_all(text, '[^ \\t\\n\\r]+'))) AS BIGINT) AS words FROM conversations GROUP BY role"),
 }
 
 
+#: Sketches: their answers are approximate, so nothing stands beside them but the exact count in the same row.
+SKETCHES: dict[str, str] = {
+    "agg_sketch_distinct": "SELECT l_returnflag, approx_count_distinct(l_partkey, 0.02) AS about, count(DISTINCT l_partkey) AS parts FROM lineitem GROUP BY l_returnflag",
+    "agg_sketch_merged": "SELECT hll_sketch_estimate(hll_union_agg(s)) AS about, (SELECT count(DISTINCT l_partkey) FROM lineitem) AS parts FROM (SELECT l_returnflag, hll_sketch_agg(l_partkey, 14) AS s FROM lineitem GROUP BY l_returnflag) t",
+    "agg_histogram_numeric": "SELECT inline(histogram_numeric(o_totalprice, 10)) FROM orders",
+}
+
+
 def spark_text(name: str) -> str:
-    found = CATALOGUE[name]
+    found = CATALOGUE.get(name) or SKETCHES[name]
     return found if isinstance(found, str) else found[0]
 
 

@@ -40,20 +40,21 @@ def _longest_word(text: pd.Series) -> pd.Series:
 
 
 def udf_arrow(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A vectorised Python function, to show the surface; built-in functions do the same in the JVM."""
     ship(spark)
     longest = F.pandas_udf(_longest_word, "bigint")
     return table(spark, sf_dir, "conversations").select("conv_id", "turn", longest("text").alias("longest"))
 
 
-def _consistency(v: pd.Series) -> float:
-    return float(v.value_counts().max()) / len(v)
+def _consistency(n: pd.Series) -> float:
+    return float(n.max()) / float(n.sum())
 
 
 def udaf_consistency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Share of the commonest value; a group here is a language, whose labels pandas takes as one batch."""
+    """Share of the commonest value; values are counted first, so the aggregate gets a row per different value and never a language's rows."""
     ship(spark)
-    rows = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id")
-    return rows.groupBy("lang").agg(F.pandas_udf(_consistency, "double")("quality").alias("share")).select("lang", (F.floor(F.col("share") * 1000 + 0.5) / 1000).alias("share"))
+    rows = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id").groupBy("lang", "quality").agg(F.count("*").alias("n"))
+    return rows.groupBy("lang").agg(F.pandas_udf(_consistency, "double")("n").alias("share")).select("lang", (F.floor(F.col("share") * 1000 + 0.5) / 1000).alias("share"))
 
 
 class Tuples:
@@ -65,6 +66,7 @@ class Tuples:
 
 
 def udtf_claims(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A table function, to show the surface; ``parse_explanation`` does the same in the JVM."""
     ship(spark)
     spark.udtf.register("tuples", F.udtf(Tuples, returnType="feature string, value string, contribution double"))
     xp.explanations(spark, sf_dir, "spend").createOrReplaceTempView("spend_explanations")

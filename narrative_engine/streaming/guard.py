@@ -12,9 +12,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from narrative_engine.plans.twins import guarded_days
 from narrative_engine.shipping import ship
 from narrative_engine.sources.tables import table
-from narrative_engine.staging import shared_dir
+from narrative_engine.staging import kept_until_exit, shared_dir, staged
 
 LATE = "2 days"
 
@@ -26,17 +27,30 @@ def source(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", LATE)
 
 
-def drained(df: DataFrame, mode: str = "complete") -> DataFrame:
-    """The table that the stream leaves when all there is has been read."""
-    spark, name = df.sparkSession, f"drained_{uuid.uuid4().hex}"
-    top = f"{shared_dir(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+def drained(df: DataFrame, mode: str = "complete", top: str | None = None) -> DataFrame:
+    """The table that the stream leaves when all there is has been read.
+
+    Appended rows go to files; complete and updated tables to a folder per micro-batch, which a batch
+    that is run again replaces.  Of complete ones the last folder is the table; updated ones are
+    returned from all batches, with ``batch``.
+    """
+    spark = df.sparkSession
+    top = top or f"{shared_dir(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    writer = df.writeStream.option("checkpointLocation", f"{top}/state").trigger(availableNow=True)
     if mode == "append":
-        query = df.writeStream.format("parquet").option("path", f"{top}/out").option("checkpointLocation", f"{top}/state").trigger(availableNow=True).start()
-        query.awaitTermination()
-        return spark.read.schema(df.schema).parquet(f"{top}/out")
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{top}/state").trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
+        writer.format("parquet").option("path", f"{top}/out").start().awaitTermination()
+        return spark.read.schema(df.schema).parquet(f"{kept_until_exit(spark, top)}/out")
+    seen: list[int] = []
+
+    def sink(batch: DataFrame, batch_id: int) -> None:
+        seen.append(batch_id)
+        idempotent_sink(f"{top}/out")(batch, batch_id)
+
+    writer.outputMode(mode).foreachBatch(sink).start().awaitTermination()
+    kept_until_exit(spark, top)
+    if mode == "complete":
+        return spark.read.schema(df.schema).parquet(f"{top}/out/batch={max(seen)}") if seen else spark.createDataFrame([], df.schema)
+    return spark.read.option("basePath", f"{top}/out").parquet(f"{top}/out")
 
 
 def cents(c: str = "value"):
@@ -71,7 +85,6 @@ def guarded_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     from narrative_engine.operators import grading as gr
     from narrative_engine.operators import writing as wr
     from narrative_engine.sources.tables import NUMERIC, features
-    from narrative_engine.staging import staged
 
     card = staged(at.fit_numeric(features(spark, sf_dir, "activity"), NUMERIC["activity"]))
     kind = lambda t: F.sum((F.col("event_type") == t).cast("int")).cast("decimal(18,4)")
@@ -88,8 +101,48 @@ def guarded_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stream_guardrail(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = drained(guarded_stream(spark, sf_dir).select("row_id", "a", "c", "rejected"))
-    return rows.groupBy("a", "c", "rejected").agg(F.count("*").alias("n"))
+    rows = drained(guarded_stream(spark, sf_dir).select("row_id", "a", "c", "rejected"), "update")
+    last = rows.groupBy("row_id").agg(F.max_by(F.struct("a", "c", "rejected"), "batch").alias("x"))
+    return last.groupBy("x.a", "x.c", "x.rejected").agg(F.count("*").alias("n"))
+
+
+def _folder_of(spark: SparkSession, parts: list[DataFrame]) -> str:
+    """A folder that gets the parts as files, one after another, as a stream would see them arrive."""
+    path = f"{shared_dir(spark).rstrip('/')}/arrivals-{uuid.uuid4().hex}"
+    for part in parts:
+        part.coalesce(1).write.mode("append").parquet(path)
+    return kept_until_exit(spark, path)
+
+
+def _arrivals(spark: SparkSession, path: str, schema) -> DataFrame:
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", LATE)
+
+
+def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events by day when the first day's come a second time, long after its window closed: they are dropped.
+
+    A micro-batch drops what is late by the watermark of the one before it, so they come third.
+    """
+    events = table(spark, sf_dir, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    first, last = events.agg(F.min("ts"), F.max("ts")).first()
+    middle = first + (last - first) / 2
+    again = events.where(F.col("ts") < F.lit(first) + F.expr("INTERVAL 1 DAY"))
+    path = _folder_of(spark, [events.where(F.col("ts") <= F.lit(middle)), events.where(F.col("ts") > F.lit(middle)), again])
+    rows = _arrivals(spark, path, events.schema).groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    return drained(rows, "update").groupBy(F.date_format("w.start", "yyyy-MM-dd").alias("day")).agg(F.max("n").alias("n"))
+
+
+def restarted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts by type from a stream that stops after half of the events and goes on from its checkpoint; a batch written twice counts once."""
+    events = table(spark, sf_dir, "events").select("event_id", "event_type", F.col("ts").cast("timestamp").alias("ts"))
+    path = _folder_of(spark, [events.where("event_id % 2 = 0")])
+    top = f"{shared_dir(spark).rstrip('/')}/restart-{uuid.uuid4().hex}"
+    count = lambda: _arrivals(spark, path, events.schema).select("event_id", "event_type")
+    drained(count(), "update", top)
+    events.where("event_id % 2 = 1").coalesce(1).write.mode("append").parquet(path)
+    rows = drained(count(), "update", top)
+    idempotent_sink(f"{top}/out")(staged(rows.where("batch = 0").drop("batch")), 0)  # what a retry after a crash would do
+    return spark.read.option("basePath", f"{top}/out").parquet(f"{top}/out").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
 def near_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -119,6 +172,46 @@ def running_totals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(out, "update").groupBy("event_type").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
 
 
+class _Drift:
+    """State of one event type: count and sum so far; each micro-batch tells how far its mean lies from the one before."""
+
+    def init(self, handle) -> None:
+        self.seen = handle.getValueState("seen", "n long, cents long")
+
+    def handleInputRows(self, key, rows, timerValues):
+        import pandas as pd
+
+        n, cents = self.seen.get() if self.seen.exists() else (0, 0)
+        more, plus = 0, 0
+        for pdf in rows:
+            more, plus = more + len(pdf), plus + int((pdf["value"] * 100 + 0.5).floordiv(1).sum())
+        self.seen.update((n + more, cents + plus))
+        drift = (cents + plus) / (n + more) - cents / n if n else 0.0
+        yield pd.DataFrame({"event_type": [key[0]], "n": [n + more], "cents": [cents + plus], "drift": [drift]})
+
+    def close(self) -> None:
+        pass
+
+
+def drift(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Custom state by the arbitrary-state operator: running totals by event type and how their mean drifts between micro-batches."""
+    from pyspark.sql.streaming.stateful_processor import StatefulProcessor
+
+    ship(spark)
+    key, before = "spark.sql.streaming.stateStore.providerClass", spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")  # the operator asks for it
+    events = table(spark, sf_dir, "events").select("event_type", "value", F.col("ts").cast("timestamp").alias("ts"))
+    middle = events.agg(F.percentile_approx(F.col("ts").cast("double"), 0.5)).first()[0]
+    path = _folder_of(spark, [events.where(F.col("ts").cast("double") <= middle), events.where(F.col("ts").cast("double") > middle)])
+    kind = type("Drift", (_Drift, StatefulProcessor), {})
+    rows = _arrivals(spark, path, events.schema).groupBy("event_type").transformWithStateInPandas(kind(), "event_type string, n long, cents long, drift double", "Update", "None")
+    try:
+        out = drained(rows, "update")
+    finally:
+        spark.conf.set(key, before) if before else spark.conf.unset(key)
+    return out.groupBy("event_type").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+
+
 def idempotent_sink(path: str) -> Callable[[DataFrame, int], None]:
     """A foreachBatch writer: a batch that is run again replaces its own folder."""
     return lambda batch, batch_id: batch.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
@@ -126,6 +219,7 @@ def idempotent_sink(path: str) -> Callable[[DataFrame, int], None]:
 
 QUERIES = {
     "stream_tumbling": tumbling, "stream_sliding": sliding, "stream_session": sessions, "stream_dedup": deduplicated, "stream_guardrail": stream_guardrail, "stream_join": near_errors, "stream_stateful": running_totals,
+    "stream_late": late_rows, "stream_restart": restarted, "stream_drift": drift,
 }
 ORACLES = {
     "stream_tumbling": "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M') AS hour, event_type, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2",
@@ -133,5 +227,9 @@ ORACLES = {
     "stream_session": "WITH g AS (SELECT user_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events) SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS events FROM g GROUP BY user_id",
     "stream_join": "SELECT b.user_id, count(*) AS n FROM events a JOIN events b ON b.user_id = a.user_id AND b.ts >= a.ts - INTERVAL 5 MINUTE AND b.ts <= a.ts + INTERVAL 5 MINUTE AND b.event_id <> a.event_id WHERE a.event_type = 'error' GROUP BY b.user_id",
     "stream_stateful": "SELECT event_type, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY event_type",
+    "stream_guardrail": guarded_days(),
+    "stream_late": "SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY 1",
+    "stream_drift": "SELECT event_type, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY event_type",
+    "stream_restart": "SELECT event_type, count(*) AS n FROM events GROUP BY event_type",
     "stream_dedup": "SELECT count(*) AS n, count(DISTINCT event_id) AS different FROM events",
 }

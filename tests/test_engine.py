@@ -19,6 +19,7 @@ from narrative_engine.operators import writing as wr
 from narrative_engine.operators.claims import Reading
 from narrative_engine.plans import experiments as xp
 from narrative_engine.plans.pipeline import NarrativePipeline
+from narrative_engine.sources import formats
 from narrative_engine.settings import PUBLISHED_CONFUSION, SET_ASIDE, TECHNIQUES
 from narrative_engine.staging import release, shared_dir, staged
 
@@ -393,6 +394,26 @@ def test_plans_push_down_and_stay_in_the_jvm(spark, sf, capsys):
     assert "Python" not in plan and "Arrow" not in plan and "CartesianProduct" not in plan
 
 
+@pytest.fixture(scope="module")
+def one_study(study, grid):
+    """The study is built once for the comparisons; each query builds its own otherwise."""
+    kept = registry.study, registry.grid
+    registry.study, registry.grid = lambda *_: study, lambda *_: grid
+    yield
+    registry.study, registry.grid = kept
+
+
+def test_prompt_log(spark, study, tmp_path):
+    rows = wr.build_prompt(study.prompts().where("technique <= 2")).limit(20)
+    formats.prompt_log(rows.unionByName(rows), f"file://{tmp_path}/log")
+    assert spark.read.json(f"file://{tmp_path}/log").count() == rows.select("prompt").distinct().count()
+
+
+def test_sketches_are_close(spark, sf):
+    for name in ("agg_sketch_distinct", "agg_sketch_merged"):
+        assert all(abs(r["about"] - r["parts"]) <= 0.06 * r["parts"] for r in registry.queries()[name](spark, sf).collect())
+
+
 def _views(sf):
     con = duckdb.connect()
     for p in glob.glob(f"{sf}/*.parquet"):
@@ -401,7 +422,7 @@ def _views(sf):
 
 
 @pytest.mark.parametrize("name", sorted(registry.oracles()))
-def test_matches_sql(spark, sf, name, tmp_path):
+def test_matches_sql(spark, sf, one_study, name, tmp_path):
     df = registry.queries()[name](spark, sf)
     df.write.parquet(str(tmp_path / "q"))
     con = _views(sf)
