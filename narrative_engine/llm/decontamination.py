@@ -6,8 +6,9 @@ necessary prefix: the rarest over all documents.  Documents meet windows on that
 the word's offset then fixes where the window would have to start and end (position and length
 bounds), and what passes is compared word for word.
 
-Windows are broadcast only while the benchmark stays under ``BROADCAST_WINDOWS``; beyond it
-Spark joins by shuffle.  Documents are never shuffled with their texts.
+Windows are broadcast only while the benchmark stays under ``BROADCAST_WINDOWS``; documents are then
+never shuffled.  Beyond it their words meet the windows by a shuffle of places and hashes alone, and
+the texts are moved once, to be compared where a window may start.
 
 Defined results: null texts have no words; items without words are never found; repeated rows
 each give their own equal row; an empty benchmark leaves every document clean, and an empty
@@ -56,10 +57,11 @@ def windows(benchmark: DataFrame) -> DataFrame:
     )
 
 
-def occurrences(docs: DataFrame) -> DataFrame:
-    """One row per word; ``at`` is its place in ``raw``."""
+def occurrences(docs: DataFrame, *carry: Column) -> DataFrame:
+    """One row per word: ``at`` is its place in the document's words; ``carry`` may name ``raw``, the words."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("text_key"), raw_words(F.col("text")).alias("raw"))
-    return rows.select("*", F.posexplode_outer("raw").alias("at", "word")).withColumn("word_key", F.xxhash64("word"))
+    rows = rows.select("doc_id", "text_key", *carry, F.posexplode_outer("raw").alias("at", "word"))
+    return rows.withColumn("word_key", F.xxhash64("word")).drop("word")
 
 
 def prefixed(found: DataFrame, docs: DataFrame, small: bool) -> DataFrame:
@@ -74,22 +76,31 @@ def prefixed(found: DataFrame, docs: DataFrame, small: bool) -> DataFrame:
         .agg(F.min(F.struct("n", "word_key", "offset")).alias("first"), F.count("*").alias("known"), F.first("items").alias("items"))
         .where(F.col("known") == F.size("window"))  # a word that no document has rules its windows out
     )
-    return rarest.select("window", "items", F.col("first.word_key").alias("word_key"), F.col("first.offset").alias("offset"))
+    told = F.array_join("window", " ").alias("window")  # words hold no blank
+    return rarest.select(told, F.size("window").alias("n"), "items", F.col("first.word_key").alias("word_key"), F.col("first.offset").alias("offset"))
+
+
+def starts_at(raw: Column, start: Column, n: Column, window: Column) -> Column:
+    fits = (start >= 0) & (start + n <= F.size(raw))
+    return fits & (F.array_join(F.slice(raw, F.when(fits, start + 1).otherwise(1), n), " ") == window)
 
 
 def hits(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Verified occurrences: document, first word, length, items."""
-    found = staged(windows(benchmark))
+    few = docs.sparkSession.sparkContext.defaultParallelism  # files of tables that are as large as the benchmark
+    found = staged(windows(benchmark), few)
     small = found.count() <= BROADCAST_WINDOWS
-    keyed = staged(prefixed(found, docs, small))
-    keyed = F.broadcast(keyed) if small else keyed
-    start, n = F.col("at") - F.col("offset"), F.size("window")
-    fits = (start >= 0) & (start + n <= F.size("raw"))
-    there = F.slice("raw", F.when(fits, start + 1).otherwise(1), n)
-    return (
-        occurrences(docs).join(keyed, "word_key").where(fits & (there == F.col("window")))
-        .select("doc_id", "text_key", start.alias("start"), n.alias("n"), "items")
-    )
+    keyed = staged(prefixed(found, docs, small), few)
+    start = F.col("at") - F.col("offset")
+    if small:
+        met = occurrences(docs, F.col("raw")).join(F.broadcast(keyed), "word_key").where(starts_at(F.col("raw"), start, F.col("n"), F.col("window")))
+        return met.select("doc_id", "text_key", start.alias("start"), "n", "items")
+    met = occurrences(docs, F.size("raw").alias("all")).join(keyed, "word_key").where((start >= 0) & (start + F.col("n") <= F.col("all")))
+    asked = met.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct(start.alias("start"), "n", "window", "items")).alias("asked"))
+    asked = staged(asked.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "asked"))
+    texts = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").join(asked, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")))
+    true = let(raw_words(F.col("text")), lambda raw: F.filter("asked", lambda x: starts_at(raw, x["start"], x["n"], x["window"])))
+    return texts.select("doc_id", "text_key", F.inline(true)).select("doc_id", "text_key", "start", "n", "items")
 
 
 def covered(spans: Column) -> Column:
@@ -111,7 +122,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, *keep: str) -> DataFram
         .agg(F.collect_set(F.struct("start", "n")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("found"))
         .select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), covered(F.col("spans")).alias("n_hit"), "found")
     )
-    per_doc = staged(per_doc)
+    per_doc = staged(per_doc, docs.sparkSession.sparkContext.defaultParallelism)
     per_doc = F.broadcast(per_doc) if per_doc.count() <= BROADCAST_HITS else per_doc
     rows = docs.select("doc_id", *keep, F.xxhash64("text").alias("text_key"), raw_words(F.col("text")).alias("raw"))
     rows = rows.select("doc_id", *keep, "text_key", count_words(F.col("raw")).alias("n_words"))
