@@ -29,7 +29,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, the later ones without the blocks they share with an earlier one."""
-    rows = deduped(docs).drop("_dedup")
+    rows = deduped(docs)
+    rows = rows.toDF(*docs.columns, "_told_").drop("_told_")  # by place: docs may have a column of that name
     return rows.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else rows
 
 
