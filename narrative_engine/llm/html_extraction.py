@@ -9,7 +9,8 @@ groups agree with, and each template of a host has a wrapper of its own, inferre
 
 The wrapper tells the template's fixed texts, dropped inside articles too but for headings, from its
 slots, which are the text; slots in a container of navigation, notices, adverts, forms, comments and
-the like are none.  When a page has an article or main element, only what is inside counts.  Pages
+the like are none.  When a page has an article or main element, only what is inside counts, unless more
+than twice as much content stands outside: then the element is a teaser.  Pages
 whose article would lose over half of its characters are copies of one article, so theirs is kept.
 Templates with fewer than ``LEAST_PAGES`` different pages have no fixed texts.
 
@@ -41,7 +42,7 @@ BROADCAST_HOSTS = 100_000
 RAW = frozenset("script style noscript template iframe textarea title svg math object canvas audio video select datalist option head".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q ruby rt rp s samp small span strike strong sub sup time tt u var wbr br img".split())
-ASIDE = frozenset("nav header footer aside form button dialog menu fieldset figcaption".split())
+ASIDE = frozenset("nav header footer aside form button dialog menu fieldset".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6 hgroup".split())
 CLOSED_BY = {"p": frozenset("p div ul ol dl table h1 h2 h3 h4 h5 h6 section article blockquote pre form header footer nav aside main hr address figure".split()), "li": frozenset(["li"]), "dt": frozenset(["dt", "dd"]), "dd": frozenset(["dt", "dd"]), "tr": frozenset(["tr", "tbody"]), "td": frozenset(["td", "th", "tr"]), "th": frozenset(["td", "th", "tr"]), "option": frozenset(["option"])}
 #: Words of class, id and role that name something other than the article.
@@ -50,7 +51,11 @@ OTHER = re.compile(
     r"replies|reply|respond|disqus\w*|footer\w*|foot|masthead\w*|topbar|toolbar|cookies?|consent\w*|gdpr|notices?|notification\w*|alert\w*|popup\w*|modal\w*|overlay\w*|subscri\w*|"
     r"newsletter\w*|signup|sign-up|login|share\w*|sharing|social\w*|search\w*|pagination|pager|copyright|legal|disclaimer|hidden|sr-only|skip\w*|complementary|contentinfo|navigation|"
     r"dialog|form|site-header|page-header|header)(?=$|[\s_-]|\d)", re.I)
-HEADER = re.compile(r"[\w-]*header[\w-]*", re.I)
+#: Inside an article only whole names count, and only those that name no kind of prose.
+OTHER_INSIDE = re.compile(
+    r"(?:^|\s)(?:ads?|adv|advert|advertisements?|sponsor(?:ed)?|promo|promos|promoted|banner|nav|navbar|navigation|menu|breadcrumbs?|sidebar|widget|related|related-(?:posts|articles|links)|recommended|"
+    r"comments?|comment-list|commentlist|replies|disqus|cookies?|cookie-(?:notice|banner)|consent|gdpr|notice|notices|popup|modal|overlay|subscribe|subscription|newsletter|newsletter-signup|signup|sign-up|"
+    r"share|shares|sharing|share-(?:bar|buttons)|social|social-(?:bar|links|share)|search|pagination|pager|hidden|sr-only)(?=$|\s)", re.I)
 NO_ARTICLE = re.compile(r"(?:^|[\s_\"'=-])(?:comments?|repl(?:y|ies)|related|promo\w*|sponsor\w*|ad|advert\w*)(?=$|[\s_\"'-])", re.I)
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 ATTRIBUTE = re.compile(r"(?:^|\s)(class|id|role|aria-hidden|hidden)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
@@ -72,11 +77,11 @@ class Block:
 
 
 def named_other(attributes: str, inside: bool) -> bool:
-    """Whether class, id or role tell of something else; inside an article a header is its own."""
+    """Whether class, id or role tell of something else."""
+    names = OTHER_INSIDE if inside else OTHER
     for m in ATTRIBUTE.finditer(attributes):
         key, value = m[1].lower(), m[2] or m[3] or m[4] or ""
-        value = HEADER.sub("", value) if inside else value
-        if key == "hidden" or key == "aria-hidden" and value.lower() == "true" or key in ("class", "id", "role") and OTHER.search(value):
+        if key == "hidden" or key == "aria-hidden" and value.lower() == "true" or key in ("class", "id", "role") and names.search(value):
             return True
     return False
 
@@ -273,12 +278,14 @@ def chosen(paths: list[str], wrappers: list[tuple[list[str], set[tuple[str, str]
 def main_text(page: str | None, wrappers: list[tuple[list[str], set[tuple[str, str]]]] = ()) -> str:
     found = blocks(page or "")
     fixed = chosen(merged(found).paths, wrappers) if any(f for _, f in wrappers) else set()
+    size = lambda part: sum(len(b.text) for b in part)
     held = [b for b in found if b.inside and not b.other]
+    free = [b for b in found if not b.inside and not b.other and (b.path, b.text) not in fixed]
     if held:
         left = [b for b in held if (b.path, b.text) not in fixed or HEADINGS.intersection(b.path.split("/"))]
-        held = left if 2 * sum(len(b.text) for b in left) >= sum(len(b.text) for b in held) else held
-    else:
-        held = [b for b in found if not b.other and (b.path, b.text) not in fixed]
+        held = left if 2 * size(left) >= size(held) else held
+    # an article element with less than half of what stands outside is a teaser
+    held = held if 2 * size(held) >= size(free) else free
     return "\n".join(b.text for b in held)
 
 
