@@ -325,16 +325,21 @@ def joined(docs: DataFrame, size: int = SIZE, num: int = NUM, den: int = DEN) ->
 def representatives(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stand for their group; a text without words is a group of its own, and so is each row of it."""
     groups = staged(joined(docs))
-    same = F.unhex(F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
-    lost = staged(groups.where("NOT stays").select(F.col("doc_id").alias("_id"), F.col("same").alias("_same")).distinct())
-    lost = F.broadcast(lost) if lost.count() <= BROADCAST_IDS else lost
-    left = docs.join(lost, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (same == F.col("_same")), "left_anti")
-    twice = staged(groups.where("stays AND n_shingles > 0").groupBy("doc_id", "same").count().where("count > 1").select(F.col("doc_id").alias("_id"), F.col("same").alias("_same")))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_doc"))  # out of the way of the names below
+    doc_id, same = F.col("_doc.doc_id").cast("long"), F.unhex(F.md5(F.coalesce(F.col("_doc.text"), F.lit("")).cast("binary")))
+    this = doc_id.eqNullSafe(F.col("_id")) & (same == F.col("_same"))
+
+    def listed(which: DataFrame) -> DataFrame:
+        which = staged(which.select(F.col("doc_id").alias("_id"), F.col("same").alias("_same")))
+        return F.broadcast(which) if which.count() <= BROADCAST_IDS else which
+
+    left = rows.join(listed(groups.where("NOT stays").select("doc_id", "same").distinct()), this, "left_anti")
+    twice = groups.where("stays AND n_shingles > 0").groupBy("doc_id", "same").count().where("count > 1")
     if twice.isEmpty():
-        return left
-    twice = F.broadcast(twice) if twice.count() <= BROADCAST_IDS else twice
-    repeated = F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (same == F.col("_same"))
-    return left.join(twice, repeated, "left_anti").unionByName(left.join(twice, repeated, "left_semi").dropDuplicates(["doc_id", "text"]))
+        return left.select("_doc.*")
+    twice = listed(twice)
+    once = left.join(twice, this, "left_semi").withColumns({"_id": doc_id, "_same": same}).dropDuplicates(["_id", "_same"]).select("_doc")
+    return left.join(twice, this, "left_anti").unionByName(once).select("_doc.*")
 
 
 def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -258,6 +258,29 @@ def test_common_blocks_keep_what_an_alignment_breaks_up():
     assert sorted(line_dedup.common_blocks({(0, 0), (0, 9), (1, 10), (2, 11)}, [8, 8, 8], 20)) == [0, 1, 2]
 
 
+def test_line_dedup_on_whole_tables_against_brute_force(spark):
+    """A line goes if and only if it lies in a run of 20 words or more that an earlier document holds."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = sorted((r["doc_id"], r["text"]) for r in docs.select("doc_id", "text").collect())
+    lines = {i: [(k, x.strip(" \t\n\x0b\x0c\r")) for k, x in enumerate((t or "").split("\n"))] for i, t in rows}
+    full = {i: [(k, x) for k, x in v if x] for i, v in lines.items()}
+    places, want = {}, {}
+    for i, t in rows:
+        mine, gone = full[i], set()
+        for a, (_, x) in enumerate(mine):
+            for j, b in places.get(x, ()):
+                n = 0
+                while a + n < len(mine) and b + n < len(full[j]) and mine[a + n][1] == full[j][b + n][1]:
+                    n += 1
+                if sum(len(SOFT.findall(y)) for _, y in mine[a : a + n]) >= 20:
+                    gone |= {k for k, _ in mine[a : a + n]}
+        want[i] = t if not gone else "\n".join(x for k, x in enumerate(t.split("\n")) if k not in gone)
+        for a, (_, x) in enumerate(mine):
+            places.setdefault(x, []).append((i, a))
+    got = dict(rows_of(line_dedup.op1_line_dedup(spark, "/root/testdata/sf0.001"), "doc_id", "text"))
+    assert got == want and any(want[i] != t for i, t in rows)
+
+
 def test_line_dedup_keeps_clashing_columns(make_docs):
     docs = make_docs([(1, words(30, 1)), (2, words(30, 1))]).withColumn("gone", F.lit(1)).withColumn("_id", F.lit(2)).withColumn("partners", F.lit("x"))
     out = line_dedup.deduped(docs)
@@ -419,6 +442,44 @@ def test_toxicity_on_the_held_out_fold(spark):
     assert right >= 0.9 * n and caught >= 0.5 * toxic
 
 
+def test_toxicity_is_a_noisy_or_of_its_sentences(spark, make_docs):
+    docs = make_docs([*[(i, f"{words(12, i)}. You idiot {words(5, i)}. {words(9, i + 500)}.") for i in range(60)], *[(i, f"{words(12, i)}. {words(9, i + 900)}.") for i in range(60, 160)]])
+    model = toxicity.train(docs, spark.createDataFrame([(i, int(i < 60)) for i in range(160)], "doc_id long, toxic int"))
+    parts = [f"{words(7, 8000 + k)}{' idiot' * (k % 3)} {words(2, 8100 + k)}." for k in range(12)]
+    one = dict(rows_of(toxicity.scored(make_docs(enumerate(parts)), model), "doc_id", "score"))
+    whole = dict(rows_of(toxicity.scored(make_docs([(k, " ".join(parts[: k + 1])) for k in range(12)]), model), "doc_id", "score"))
+    for k in range(12):
+        assert abs(whole[k] - (1 - np.prod([1 - one[j] for j in range(k + 1)]))) < 1e-9
+
+
+def test_language_matches_exact_sets(spark):
+    """Every document of the tables judged with plain sets of n-grams in place of the filters."""
+    def grams(text):
+        x, out = bytes(b if b >= 128 else b | 32 if chr(b).isalpha() else 32 for b in text.encode()), []
+        x = b" " + re.sub(rb" +", b" ", x) + b"  "
+        return [x[i : i + 4] for i in range(len(x) - 3) if x[i + 1] != 32 or x[i + 2] != 32]
+
+    rows = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang").collect()
+    seen = {}
+    for r in rows:
+        if r["lang"] is not None and r["text"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 4 != 2:
+            for g in grams(r["text"]):
+                seen.setdefault(r["lang"], {}).setdefault(g, 0)
+                seen[r["lang"]][g] += 1
+    rate = {k: {g: n / sum(v.values()) for g, n in v.items() if n >= language_id.LEAST} for k, v in seen.items()}
+    most = {}
+    for v in rate.values():
+        for g, x in v.items():
+            most[g] = max(most.get(g, 0), x)
+    held = {k: {g for g, x in v.items() if x >= language_id.SHARE * most[g]} for k, v in rate.items()}
+    got = {r["doc_id"]: r for r in language_id.op7_language_id(spark, "/root/testdata/sf0.001").collect()}
+    for r in rows:
+        mine = grams(r["text"] or "")
+        share = {k: sum(g in v for g in mine) / max(1, len(mine)) for k, v in held.items()}
+        best = max(sorted(share), key=share.get)
+        assert got[r["doc_id"]]["lang_pred"] == best and abs(got[r["doc_id"]]["score"] - share[best]) < 0.02, (r["doc_id"], share, got[r["doc_id"]])
+
+
 def test_toxicity_finds_the_sentence_and_stands_odd_rows(spark, make_docs):
     docs = make_docs([*[(i, f"{words(12, i)}. You idiot {words(5, i)}. {words(9, i + 500)}.") for i in range(60)], *[(i, f"{words(12, i)}. {words(9, i + 900)}.") for i in range(60, 160)]])
     labels = spark.createDataFrame([(i, int(i < 60)) for i in range(160)], "doc_id long, toxic int")
@@ -527,6 +588,49 @@ def test_article_text_with_telling_names_stays():
     assert html_extraction.main_text(f"<main>{long}</main>") == "deep\n" + "x" * (1 << 20)
 
 
+def test_extraction_of_whole_tables_against_a_plain_parser(spark):
+    """The pages of the tables have one article each; an HTML parser of the standard library reads it."""
+    from html.parser import HTMLParser
+
+    class Plain(HTMLParser):
+        def __init__(self):
+            super().__init__(convert_charrefs=True)
+            self.inside, self.blocks, self.now = 0, [], []
+
+        def close_block(self):
+            text = " ".join("".join(self.now).split())
+            self.now = []
+            if text:
+                self.blocks.append(text)
+
+        def handle_starttag(self, tag, attrs):
+            if self.inside and tag == "br":
+                self.now.append(" ")
+            elif self.inside and tag not in ("b", "i", "em", "strong", "a", "span", "code"):
+                self.close_block()
+            self.inside += tag == "article"
+
+        def handle_endtag(self, tag):
+            if self.inside and tag not in ("b", "i", "em", "strong", "a", "span", "code", "br"):
+                self.close_block()
+            self.inside -= tag == "article"
+
+        def handle_data(self, data):
+            if self.inside:
+                self.now.append(data)
+
+    sf = "/root/testdata/sf0.01"
+    got = dict(rows_of(html_extraction.op2_html_extraction(spark, sf), "page_id", "text"))
+    pages = spark.read.parquet(f"{sf}/pages.parquet").select("page_id", "html").collect()
+    assert len(got) == len(pages)
+    for r in pages:
+        p = Plain()
+        p.feed(r["html"] or "")
+        p.close()
+        p.close_block()
+        assert got[r["page_id"]] == "\n".join(p.blocks), r["page_id"]
+
+
 def test_wrapper_inference(spark):
     page = lambda k: f"<html><body><div class=top>Example site</div><div><h1>Story {k}</h1><p>{words(9, k)}</p><p>{words(7, k + 50)}</p>{'<p>extra ' + str(k) + '</p>' if k % 2 else ''}</div><div class=end>All texts are free</div></body></html>"
     rows = [(k, f"http://Host.example/{k}", page(k)) for k in range(5)] + [(8, None, None), (9, "x", ""), (10, "http://host.example/q", "<p>open <b>never closed")]
@@ -551,6 +655,75 @@ def test_union_free_alignment():
     assert kinds[0] == "rep" and "opt" in kinds and ("text", "x") in html_extraction.aligned(one, two)
 
 
+CLASHING = ("_doc", "_dedup", "_id", "_key", "_same", "same", "x", "id", "n", "key", "h", "salt", "gone", "text_key", "raw", "words", "rank", "_words", "component_id", "n_links")
+
+
+@pytest.fixture(scope="module")
+def odd_docs(make_docs):
+    rows = [*ODD, (7, "w" * (1 << 20)), (8, None), (8, None), (9, words(60, 1)), (9, words(60, 1)), (9, words(60, 2)), (None, words(60, 1)), (None, None), (10, "\x00 \ufffe 🙂 e\u0301"), (11, "a\u00a0b\u2003c " * 40)]
+    df = make_docs(rows)
+    return df.withColumns({c: F.lit(7) for c in CLASHING}), len(rows)
+
+
+ROWWISE = {
+    "line dedup": lambda d, s: line_dedup.deduped(d), "toxicity": lambda d, s: toxicity.scored(d, toxicity.train(d, s)), "language": lambda d, s: language_id.identified(d, language_id.train(d)),
+    "decontamination": lambda d, s: decontamination.contamination(d, d.select(F.col("doc_id").alias("item_id"), "text").where("doc_id = 9")), "join": lambda d, s: jaccard_join.joined(d),
+    "rules": lambda d, s: quality_rules.ledger(d), "store": lambda d, s: token_store.read_documents(token_store.staged(token_store.chunks(d))),
+    "scoring": lambda d, s: lm_scoring.scored(d, lm_scoring.train(lm_scoring.flagged(d, s.withColumnRenamed("toxic", "quality")))),
+}
+
+
+@pytest.mark.parametrize("name", sorted(ROWWISE))
+def test_odd_rows(spark, odd_docs, name):
+    """Null ids and texts, repeated rows, a megabyte without a blank, columns with clashing names: a row each, equal ones for equal rows."""
+    docs, n = odd_docs
+    labels = spark.createDataFrame([(9, 1), (5, 0), (None, 1), (9, 1)], "doc_id long, toxic int")
+    got = ROWWISE[name](docs, labels).collect()
+    assert len(got) == n
+    # the starts of a store differ by row, and so do row numbers
+    twins = [str([v for k, v in r.asDict().items() if k not in ("start", "_row")]) for r in got if r["doc_id"] in (5, 8)]
+    assert len(twins) == 4 and len(set(twins)) <= 2
+
+
+def test_odd_rows_are_packed(odd_docs):
+    docs, n = odd_docs
+    got = packing.packed(docs).collect()
+    assert sum(r["piece"] == 0 for r in got) == n and all(r["offset"] + r["length"] <= 4096 for r in got)
+
+
+def test_odd_pages(spark):
+    rows = [(1, None, None), (1, None, None), (None, "http://a.example/x", "<article><p>a</article>"), (2, "http://a.example/x", "<article><p>a</article>"), (2, "http://a.example/x", "<article><p>a</article>"), (3, "::", "w" * (1 << 20)), (4, "http://[", "<" * 5000)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({"host": F.lit(1), "_host": F.lit(2), "templates": F.lit(3), "text": F.lit("t")})
+    got = rows_of(html_extraction.extracted(pages), "page_id", "url", "text")
+    assert len(got) == len(rows) and sum(g == (2, "http://a.example/x", "a") for g in got) == 2 and ("w" * (1 << 20)) in {t for _, _, t in got}
+
+
+def test_pipeline_stands_odd_rows(spark, odd_docs, tmp_path):
+    import corpus_pipeline
+
+    docs, n = odd_docs
+    spark.createDataFrame([(1, words(30, 1000)), (None, "x")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    now = docs
+    for name, stage in corpus_pipeline.STAGES:
+        was, now = now, stage(spark, now, str(tmp_path))
+        now.write.parquet(f"{tmp_path}/{name}")
+        now = spark.read.parquet(f"{tmp_path}/{name}")
+        if name != "packing":
+            assert now.columns == was.columns
+    assert now.where("piece = 0").count() == spark.read.parquet(f"{tmp_path}/decontamination").count() > 0
+    kept = spark.read.parquet(f"{tmp_path}/jaccard_join").select("doc_id", "text").collect()
+    # one row of the text that three rows hold, and the other text of the same doc_id
+    assert sorted((r["doc_id"], r["text"]) for r in kept if r["text"] in (words(60, 1), words(60, 2))) == sorted([(9, words(60, 1)), (9, words(60, 2))])
+
+
+def test_pipeline_of_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    for t in ("documents", "benchmark"):
+        spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet").limit(0).write.parquet(f"{tmp_path}/{t}.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
 @pytest.mark.parametrize("name", sorted(registry.QUERIES))
 def test_empty_tables(spark, tmp_path, name):
     for t in ("documents", "benchmark", "labels", "pages"):
