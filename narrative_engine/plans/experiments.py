@@ -50,7 +50,7 @@ def explanations(spark: SparkSession, sf_dir: str, domain: str) -> DataFrame:
 
 
 #: Rounds of bootstrapping; round r follows 1, 2 or 3 hand-written exemplars, drawn anew for it.
-ROUNDS = 6
+ROUNDS = 12
 
 
 class Study:
