@@ -170,7 +170,7 @@ def build_prompt(df: DataFrame, kind: str = "contributions", extras: Column | No
     prompt = F.concat_ws(
         "\n", base[F.col("base")], F.lit("You get an explanation, its format and its context."), F.when(F.size("exemplars") > 0, F.concat(F.lit("Examples:\n"), shown)),
         F.concat(F.lit("Explanation: "), own), F.lit("Format: " + EXPLANATION_KINDS[kind].describe),
-        F.concat(F.lit("Context: "), context[F.col("domain")]), F.lit(OUTPUT_RULES), F.lit(CUE),
+        F.concat(F.lit("Context: "), F.coalesce(context[F.col("domain")], F.lit(""))), F.lit(OUTPUT_RULES), F.lit(CUE),
     )
     return df.withColumn("prompt", prompt)
 
