@@ -407,6 +407,15 @@ def test_prose_is_read_once_for_each_explanation(spark, sf, capsys):
     assert "regexp_extract_all" not in capsys.readouterr().out
 
 
+def test_whole_grid_counts_equal_narratives(study):
+    rows = study.entries.where(f"place > {SET_ASIDE} AND place <= {SET_ASIDE + 3}")
+    rows = staged(rows.unionByName(rows))  # every row twice: the same narratives, counted twice
+    whole = staged(study.whole_grid(rows))
+    got = sorted(map(tuple, xp.technique_scores(whole, "n").collect()))
+    assert got == sorted(map(tuple, xp.technique_scores(study.grid(rows)).collect())) and len(got) == len(TECHNIQUES)
+    assert whole.count() < sum(r[4] for r in got) == rows.count() * len(TECHNIQUES)
+
+
 @pytest.fixture(scope="module")
 def one_study(study, grid):
     """The study is built once for the comparisons; each query builds its own otherwise."""
