@@ -9,6 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from narrative_engine.fixtures import CLAUSES
+from narrative_engine.operators.attribution import half_up
+from narrative_engine.operators.writing import filled
+from narrative_engine.plans.twins import filled as filled_sql
+from narrative_engine.plans.twins import quoted
 from narrative_engine.shipping import ship
 from narrative_engine.sources.tables import table
 from narrative_engine.staging import kept_until_exit, shared_dir
@@ -87,9 +92,25 @@ class StyleSource(DataSource):
 
 
 def source_fixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The source's slot texts of orders, each told of the orders whose key picks its place: orders and characters of their clauses."""
     ship(spark)
     spark.dataSource.register(StyleSource)
-    return spark.read.format("narrative_fixture").option("domain", "basket").load()
+    styles = spark.read.format("narrative_fixture").option("domain", "basket").load()
+    orders = table(spark, sf_dir, "orders")
+    mean = orders.agg((F.sum(F.col("o_totalprice").cast("decimal(18,4)")).cast("double") / F.count("o_totalprice")).alias("mean"))
+    x = F.struct(F.lit("priority").alias("feature"), F.col("o_orderpriority").alias("value"), half_up(F.col("o_totalprice") - F.col("mean")).alias("contribution"))
+    rows = orders.crossJoin(F.broadcast(mean)).select((F.col("o_orderkey") % len(CLAUSES["basket_a"]) + 1).cast("int").alias("place"), x.alias("x"))
+    clause = F.struct(F.col("slots").alias("c"), F.lit("raises").alias("up"), F.lit("lowers").alias("down"))
+    told = rows.join(F.broadcast(styles), "place").withColumn("n_chars", F.length(filled(F.col("x"), clause)))
+    return told.groupBy("style", "place", "slots", "flaw").agg(F.count("*").alias("n"), F.sum("n_chars").alias("n_chars"))
+
+
+def _fixture_sql() -> str:
+    styles = ", ".join(f"({quoted(s)}, {k + 1}, {quoted(c)}, {quoted(flaw)})" for s, own in CLAUSES.items() if s.startswith("basket_") for k, (c, flaw) in enumerate(own))
+    return f"""WITH st(style, place, slots, flaw) AS (VALUES {styles}),
+m AS (SELECT sum(CAST(o_totalprice AS DECIMAL(18,4)))::DOUBLE / count(o_totalprice) AS mean FROM orders),
+o AS (SELECT o_orderkey % {len(CLAUSES['basket_a'])} + 1 AS place, 'priority' AS feature, o_orderpriority AS value, floor((o_totalprice - mean) * 100.0::DOUBLE + 0.5) / 100.0::DOUBLE AS contribution FROM orders, m)
+SELECT style, st.place, slots, flaw, count(*) AS n, CAST(sum(length({filled_sql('slots', "'raises'", "'lowers'")})) AS BIGINT) AS n_chars FROM o JOIN st ON st.place = o.place GROUP BY style, st.place, slots, flaw"""
 
 
 QUERIES = {"source_json": source_json, "source_csv": source_csv, "source_orc": source_orc, "source_text": source_text, "sink_partitioned": sink_partitioned, "source_fixture": source_fixture}
@@ -99,4 +120,5 @@ ORACLES = {
     "source_orc": "SELECT p_partkey, p_name, p_size FROM part",
     "source_text": "SELECT CAST(item_id AS VARCHAR) AS item, CAST(length(regexp_replace(text, '\\s+', ' ', 'g')) AS INT) AS n FROM benchmark",
     "sink_partitioned": "SELECT o_orderkey, o_custkey FROM orders WHERE o_orderstatus = 'F'",
+    "source_fixture": _fixture_sql(),
 }
