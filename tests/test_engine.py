@@ -416,6 +416,15 @@ def test_whole_grid_counts_equal_narratives(study):
     assert whole.count() < sum(r[4] for r in got) == rows.count() * len(TECHNIQUES)
 
 
+@pytest.mark.parametrize("name,read", [("published_agreement", {"labels", "documents"}), ("published_totals", {"documents"}), ("source_fixture", {"orders"})])
+def test_tables_are_read(spark, sf, monkeypatch, name, read):
+    seen = set()
+    for module in (registry, formats):
+        monkeypatch.setattr(module, "table", lambda s, f, t: seen.add(t) or registry.features.__globals__["table"](s, f, t))
+    rows = registry.queries()[name](spark, sf)
+    assert seen == read and rows.count() > 0
+
+
 @pytest.fixture(scope="module")
 def one_study(study, grid):
     """The study is built once for the comparisons; each query builds its own otherwise."""
