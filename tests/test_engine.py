@@ -2,6 +2,7 @@
 
 import glob
 import itertools
+import json
 import os
 
 import duckdb
@@ -416,6 +417,30 @@ def test_whole_grid_counts_equal_narratives(study):
     assert whole.count() < sum(r[4] for r in got) == rows.count() * len(TECHNIQUES)
 
 
+def test_whole_grid_reads_each_narrative_once(study, monkeypatch):
+    read = []
+    graded = gr.graded
+    monkeypatch.setattr(gr, "graded", lambda df, styles, **more: read.append(staged(df)) or graded(read[-1], styles, **more))
+    study.whole_grid(study.entries.where(f"place > {SET_ASIDE}"))
+    assert read[0].count() == read[0].select("style", "expl", "text").distinct().count()
+
+
+def test_texts_in_bulk_are_read_as_one_by_one(spark, study):
+    odd = [
+        "", "No.  lack of any ship lag; the parts of 12 raises 3 and about lowers 1,234,567 by 7!", "line count, 12, and balance: higher  parts without a raise, region ASIA more likely to fail by 12%",
+        "While priority of 1-URGENT (7) is larger than usual but roughly -4 by 3.5.\nÉté — İ", "status status by by 7 no yes yes 0 . , ; reduces | @u@ $12", "1,2,345 cuts the count. Larger line count pushed up 12; lower than usual",
+    ]
+    expl = [[("parts", "12", 12.0, 7.0), ("line count", "none", None, -3.5)], [("count", "1,234,567", 1234567.0, None), ("priority", "1-URGENT", None, 0.0), ("ship lag", "0", 0.0, -4.0)], [("status", "yes", None, -12.0), ("region", None, None, 1.0)], []]
+    kind = "style string, text string, expl array<struct<feature:string,value:string,value_num:double,contribution:double>>"
+    rows = spark.createDataFrame([("basket_a", t, e) for t in odd for e in expl], kind)
+    some = study.prompts(study.entries.where(f"place > {SET_ASIDE} AND place <= {SET_ASIDE + 4}")).select("style", "text", F.transform("expl", lambda x: F.struct(*[x[c].alias(c) for c in ("feature", "value", "value_num", "contribution")])).alias("expl"))
+    rows = staged(rows.unionByName(some))
+    for reading in (Reading(), Reading(aliases={"parts": ("pieces", "count")}, others=("balance", "region"), up=("no raise",))):
+        one, bulk = (gr.graded(rows, study.refs, reading=reading, bulk=b).select(F.to_json(F.struct("*")).alias("row")) for b in (False, True))
+        columns = lambda df: sorted(json.dumps(json.loads(r["row"]), sort_keys=True) for r in df.collect())
+        assert columns(one) == columns(bulk)
+
+
 @pytest.mark.parametrize("name,read", [("published_agreement", {"labels", "documents"}), ("published_totals", {"documents"}), ("source_fixture", {"orders"})])
 def test_tables_are_read(spark, sf, monkeypatch, name, read):
     seen = set()
